@@ -5,7 +5,7 @@ from __future__ import annotations
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 
-from eqmat.llm import language, packing, quality, simhash
+from eqmat.llm import language, packing, personal, quality, simhash
 from eqmat.storage import saved, table
 
 
@@ -21,6 +21,10 @@ def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFr
     return simhash.keep_one(docs)
 
 
+def personal_surrogates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    return personal.replace_personal(docs)
+
+
 def best_fit_packing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     return packing.pack(docs, public_tokenizers.path("word_bpe_49k.json"))
 
@@ -29,6 +33,7 @@ STAGES = [
     ("quality rules", quality_rules),
     ("language ID", language_id),
     ("SimHash near-dedup", near_duplicates),
+    ("personal surrogates", personal_surrogates),
     ("best-fit packing", best_fit_packing),
 ]
 #: The stages train a network, follow links and merge tokens, which SQL cannot express.
