@@ -5,11 +5,318 @@ from __future__ import annotations
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
+from eqmat import workloads as W
+from eqmat.components import connected_components
+from eqmat.operators import answer as A
+from eqmat.operators.dictionary import decode
+from eqmat.operators.mapping import expand, weigh
+from eqmat.operators.materialise import Options, materialise_naive
+from eqmat.operators.measures import clique_histogram, measures, verify_expansion
+from eqmat.plans.costmodel import axiom_estimate, clique_cost, triple_cost
+from eqmat.plans.query import parse_query
+from eqmat.storage import saved, table
 
-def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {}
+Query = Callable[[SparkSession, str], DataFrame]
+_QUERIES: dict[str, Query] = {}
+_SQL: dict[str, str] = {}
+
+
+def _add(name: str, query: Query, sql: str | None = None) -> None:
+    _QUERIES[name] = query
+    if sql:
+        _SQL[name] = sql
+
+
+# What is asked of a run
+
+
+def rep_map(name: str, mode: str = "rew") -> Query:
+    def query(spark, d):
+        r = W.run_named(spark, d, name, mode)
+        return decode(r.mat.rep_map.rows, r.terms, ["member", "rep"])
+
+    return query
+
+
+def by_predicate(name: str, mode: str = "rew", expanded: bool = False) -> Query:
+    """predicate, n: live facts, or the triples they stand for, without expanding them."""
+
+    def query(spark, d):
+        r = W.run_named(spark, d, name, mode)
+        facts = weigh(r.mat.facts(), r.mat.rep_map, ("s", "o")) if expanded else r.mat.facts().withColumn("n", F.lit(1))
+        return decode(facts.groupBy("p").agg(F.sum("n").cast("long").alias("n")), r.terms, ["p"]).withColumnRenamed("p", "predicate").where("predicate <> '='")
+
+    return query
+
+
+def closure(name: str, mode: str = "rew", expanded: bool = True, predicate: str | None = None) -> Query:
+    def query(spark, d):
+        r = W.run_named(spark, d, name, mode)
+        facts = r.mat.facts() if mode != "ax" else r.mat.store.live().select("s", "p", "o")
+        out = decode(expand(facts, r.mat.rep_map) if expanded and mode != "ax" else facts, r.terms, ["s", "p", "o"])
+        return out.where(F.col("p") == predicate) if predicate else out
+
+    return query
+
+
+def ask(name: str, text: str, how: str = "answer", mode: str = "rew") -> Query:
+    def query(spark, d):
+        r = W.run_named(spark, d, name, mode)
+        return getattr(A, how)(parse_query(text), r.mat, r.terms)
+
+    return query
+
+
+def all_measures(name: str, mode: str) -> Query:
+    def query(spark, d):
+        found = measures(W.run_named(spark, d, name, mode).mat)
+        return spark.createDataFrame([(k, float(v)) for k, v in found.items() if v is not None], "measure string, value double")
+
+    return query
+
+
+def agreement(name: str, mode: str = "rew") -> Query:
+    """How many triples the expansion lacks of the axiomatised closure, and how many it has beyond."""
+
+    def query(spark, d):
+        missing, extra = verify_expansion(W.run_named(spark, d, name, mode).mat, W.run_named(spark, d, name, "ax").mat)
+        return missing.agg(F.count("*").alias("missing")).crossJoin(extra.agg(F.count("*").alias("extra")))
+
+    return query
+
+
+def lost(name: str, mode: str) -> Query:
+    """The triples that a weaker mode misses, against rewriting."""
+
+    def query(spark, d):
+        full, weak = W.run_named(spark, d, name), W.run_named(spark, d, name, mode)
+        a, b = (decode(expand(r.mat.facts(), r.mat.rep_map), r.terms, ["s", "p", "o"]) for r in (full, weak))
+        return a.join(b, ["s", "p", "o"], "left_anti").where("p <> '='")
+
+    return query
+
+
+def variant(name: str, **options) -> Query:
+    """The expansion by predicate of a run with other options, which must not change it."""
+
+    def query(spark, d):
+        r = W.run(W.WORKLOADS[name](spark, d), "rew", Options(**options))
+        facts = weigh(r.mat.facts(), r.mat.rep_map, ("s", "o"))
+        return decode(facts.groupBy("p").agg(F.sum("n").cast("long").alias("n")), r.terms, ["p"]).withColumnRenamed("p", "predicate").where("predicate <> '='")
+
+    return query
+
+
+# The worked example
+
+_EXAMPLE_PAIRS = "(VALUES ('US','US'),('USA','US'),('America','US'),('Obama','Obama'),('USPresident','Obama'),('presidentOf','presidentOf'),('=','=')) AS m(member, rep)"
+_EXAMPLE_CLOSURE = f"""
+WITH m AS (SELECT * FROM {_EXAMPLE_PAIRS})
+SELECT a.member AS s, '=' AS p, b.member AS o FROM m a JOIN m b USING (rep)
+UNION ALL SELECT a.member, 'presidentOf', b.member FROM m a, m b WHERE a.rep = 'Obama' AND b.rep = 'US'
+"""
+_Q1, _Q2 = "SELECT ?x WHERE { ?x presidentOf ?y }", "SELECT ?y WHERE { ?x presidentOf US . BIND(STR(?x) AS ?y) }"
+_add("example_closure", closure("example"), _EXAMPLE_CLOSURE)
+_add("example_ax_closure", closure("example", "ax"), _EXAMPLE_CLOSURE)
+_add("example_naive_closure", lambda s, d: _naive_example(s), _EXAMPLE_CLOSURE)
+_add("example_rep_map", rep_map("example"), f"SELECT member, rep FROM {_EXAMPLE_PAIRS} WHERE member <> rep")
+_add("example_measures", all_measures("example", "rew"))
+_add("example_measures_ax", all_measures("example", "ax"))
+_add("example_facts_only", agreement("example", "facts_only"), "SELECT 2 AS missing, 0 AS extra")
+_add("example_facts_only_usa", agreement("example_usa", "facts_only"), "SELECT 0 AS missing, 0 AS extra")
+_add("example_q1", ask("example", _Q1), "SELECT x FROM (VALUES ('Obama'), ('USPresident')) a(x), range(3)")
+_add("example_q1_posthoc", ask("example", _Q1, "answer_posthoc"), "SELECT x FROM (VALUES ('Obama'), ('USPresident')) a(x)")
+_add("example_q1_on_expansion", ask("example", _Q1, "answer_on_expansion"), _SQL["example_q1"])
+_add("example_q2", ask("example", _Q2), "SELECT y FROM (VALUES ('Obama'), ('USPresident')) a(y)")
+_add("example_q2_posthoc", ask("example", _Q2, "answer_posthoc"), "SELECT 'Obama' AS y")
+
+
+def _naive_example(spark: SparkSession) -> DataFrame:
+    from eqmat.plans.rules import equality_axioms
+
+    w = W.worked_example(spark)
+    r = W.run(w, "plain", Options(measure=False))
+    ids = W.lookup(r.terms, [c for x in w.rules for c in x.constants])
+    rules = [x.map(lambda c: ids[c]) for x in w.rules]
+    return decode(materialise_naive(spark, W.encode(w.facts, r.terms), [*rules, *equality_axioms(1)]), r.terms, ["s", "p", "o"])
+
+
+# Closed forms
+
+
+def _clique_costs(spark, d):
+    return spark.createDataFrame([(n, *clique_cost(n)) for n in range(1, 9)], "n int, eq_triples long, derivations long")
+
+
+def _triple_costs(spark, d):
+    return spark.createDataFrame([(a, b, c, *triple_cost(a, b, c)) for a in (1, 2, 3) for b in (1, 2, 3) for c in (1, 2, 3)], "ns int, np int, no int, triples long, each_derived long")
+
+
+def _estimate(name: str) -> Query:
+    return lambda s, d: axiom_estimate(W.run_named(s, d, name).mat.rep_map.sizes())
+
+
+def _estimate_sql(source: str, key: str) -> str:
+    return f"SELECT coalesce(sum(n * n), 0)::BIGINT AS eq_triples, coalesce(sum(2 * n * n * n + n * n + n), 0)::BIGINT AS eq_derivations FROM (SELECT count(*) AS n FROM {source} GROUP BY {key} HAVING count(*) > 1)"
+
+
+_add("clique_cost_table", _clique_costs, "SELECT n::INT AS n, n * n AS eq_triples, 2 * n * n * n + n * n + n AS derivations FROM range(1, 9) t(n)")
+_add("triple_cost_table", _triple_costs, "SELECT a::INT AS ns, b::INT AS np, c::INT AS no, a * b * c AS triples, a + b + c AS each_derived FROM range(1, 4) x(a), range(1, 4) y(b), range(1, 4) z(c)")
+
+# Keyed equalities: the least name of each key represents
+
+
+def _rep_sql(source: str, prefix: str, key: str, same: str) -> str:
+    name = f"'{prefix}/' || lpad({key}::VARCHAR, 12, '0')"
+    return f"SELECT member, rep FROM (SELECT {name} AS member, min({name}) OVER (PARTITION BY {same}) AS rep FROM {source}) WHERE member <> rep"
+
+
+_HOME = "c_nationkey, c_mktsegment"
+_URL = r"regexp_replace(regexp_replace(lower(url), '^https?://(www\.|m\.)?', ''), '[?#].*$', '')"
+_KEYED = {"w1": ("documents", "doc", "doc_id", "text"), "w2": ("part", "part", "p_partkey", "p_name, p_brand, p_type"), "w3": ("customer", "customer", "c_custkey", _HOME), "w3b": ("embeddings", "vec", "vec_id", "label"), "w6": ("pages", "page", "page_id", _URL)}
+for _w, _args in _KEYED.items():
+    _add(f"{_w}_rep_map", rep_map(_w), _rep_sql(*_args))
+    _add(f"{_w}_axiom_estimate", _estimate(_w), _estimate_sql(_args[0], _args[3]))
+
+# W1: duplicate documents
+_W1 = """
+WITH r AS (SELECT doc_id, lang, source, text, min(doc_id) OVER (PARTITION BY text) AS rep FROM documents),
+q AS (SELECT DISTINCT r.rep, l.quality FROM r JOIN labels l USING (doc_id)),
+n AS (SELECT rep, count(*) AS n FROM r GROUP BY rep),
+lang AS (SELECT DISTINCT rep, lang FROM r), src AS (SELECT DISTINCT rep, source FROM r),
+share AS (SELECT DISTINCT a.rep AS x, b.rep AS y FROM src a JOIN src b ON a.source = b.source WHERE a.rep IN (SELECT rep FROM q WHERE quality = 0) AND b.rep IN (SELECT rep FROM q WHERE quality = 0))
+"""
+_W1_COUNTS = [("hasText", "(SELECT DISTINCT rep, text FROM r) t"), ("inLang", "lang t"), ("fromSource", "src t"), ("quality", "q t"), ("hasQuality", "q t")]
+_add(
+    "w1_facts_by_predicate",
+    by_predicate("w1"),
+    _W1 + " UNION ALL ".join(f"SELECT '{p}' AS predicate, count(*) AS n FROM {t}" for p, t in _W1_COUNTS) + " UNION ALL SELECT 'sharesSource', count(*) FROM share",
+)
+_W1_EXPANDED = _W1 + " UNION ALL ".join(f"SELECT '{p}' AS predicate, sum(n)::BIGINT AS n FROM {t} JOIN n USING (rep)" for p, t in _W1_COUNTS) + " UNION ALL SELECT 'sharesSource', sum(a.n * b.n)::BIGINT FROM share JOIN n a ON a.rep = x JOIN n b ON b.rep = y"
+_add("w1_expansion_by_predicate", by_predicate("w1", expanded=True), _W1_EXPANDED)
+_add("w1_measures_rew", all_measures("w1", "rew"))
+_add("w1_measures_ax", all_measures("w1", "ax"))
+_add("w1_expansion_equals_ax", agreement("w1"), "SELECT 0 AS missing, 0 AS extra")
+_DOC = "'doc/' || lpad(r.doc_id::VARCHAR, 12, '0')"
+_w1q = {
+    "q1": ("SELECT ?x WHERE { ?x fromSource ?s }", _W1 + f"SELECT {_DOC} AS x FROM r JOIN src USING (rep)"),
+    "q2": ("SELECT ?y WHERE { ?x inLang lang/en . BIND(UCASE(?x) AS ?y) }", _W1 + f"SELECT upper({_DOC}) AS y FROM r JOIN lang l ON l.rep = r.rep AND l.lang = 'en'"),
+    "q3": ("SELECT ?l (COUNT(*) AS ?n) WHERE { ?x inLang ?l . ?x quality ?q } GROUP BY ?l", _W1 + "SELECT 'lang/' || l.lang AS l, sum(n)::BIGINT AS n FROM lang l JOIN q USING (rep) JOIN n USING (rep) GROUP BY 1"),
+    "q4": ("SELECT DISTINCT ?s WHERE { ?x fromSource ?s }", "SELECT DISTINCT 'source/' || source AS s FROM documents"),
+    "q5": ('SELECT ?x ?s WHERE { ?x fromSource ?s . FILTER(STRSTARTS(?x, "doc/00000000000")) }', _W1 + f"SELECT {_DOC} AS x, 'source/' || src.source AS s FROM r JOIN src USING (rep) WHERE r.doc_id < 10"),
+    "q6": ("SELECT ?s (COUNT(*) AS ?n) WHERE { ?x fromSource ?s } GROUP BY ?s ORDER BY DESC(?n) LIMIT 5", _W1 + "SELECT 'source/' || source AS s, sum(n)::BIGINT AS n FROM src JOIN n USING (rep) GROUP BY 1 ORDER BY n DESC, s LIMIT 5"),
+}
+for _k, (_text, _s) in _w1q.items():
+    _add(f"w1_{_k}", ask("w1", _text), _s)
+    _add(f"w1_{_k}_on_expansion", ask("w1", _text, "answer_on_expansion"), _s)
+_add("w1_q1_posthoc", ask("w1", _w1q["q1"][0], "answer_posthoc"), None)
+
+# W2: parts
+_W2 = """
+WITH p AS (SELECT p_partkey, min(p_partkey) OVER (PARTITION BY p_name, p_brand, p_type) AS rep FROM part),
+n AS (SELECT rep, count(*) AS n FROM p GROUP BY rep), s AS (SELECT DISTINCT l_suppkey, rep FROM lineitem JOIN p ON l_partkey = p_partkey)
+"""
+_w2q = {
+    "q1": ("SELECT ?s WHERE { ?s supplies ?p }", "SELECT 'supplier/' || lpad(l_suppkey::VARCHAR, 12, '0') AS s FROM s JOIN n USING (rep), LATERAL range(n)"),
+    "q3": ("SELECT ?b (COUNT(*) AS ?n) WHERE { ?s supplies ?p . ?p hasBrand ?b } GROUP BY ?b", "SELECT p_brand AS b, sum(n)::BIGINT AS n FROM s JOIN n USING (rep) JOIN part ON p_partkey = rep GROUP BY 1"),
+    "q6": ("SELECT ?s (COUNT(*) AS ?n) WHERE { ?s supplies ?p } GROUP BY ?s ORDER BY DESC(?n) LIMIT 5", "SELECT 'supplier/' || lpad(l_suppkey::VARCHAR, 12, '0') AS s, sum(n)::BIGINT AS n FROM s JOIN n USING (rep) GROUP BY 1 ORDER BY n DESC, s LIMIT 5"),
+}
+for _k, (_text, _s) in _w2q.items():
+    _add(f"w2_{_k}", ask("w2", _text), _W2 + _s)
+
+# W3: households; W3b: clusters
+_W3 = f"""
+WITH c AS (SELECT c_custkey, min(c_custkey) OVER (PARTITION BY {_HOME}) AS rep, {_HOME} FROM customer),
+n AS (SELECT rep, count(*) AS n FROM c GROUP BY rep)
+"""
+_CUST = "'customer/' || lpad(c.c_custkey::VARCHAR, 12, '0')"
+_add("w3_expansion_by_predicate", by_predicate("w3", expanded=True), _W3 + "SELECT 'household' AS predicate, count(*) AS n FROM c UNION ALL SELECT 'placedBy', sum(n)::BIGINT FROM orders JOIN c ON o_custkey = c_custkey JOIN n USING (rep) UNION ALL SELECT 'owns', count(*) FROM orders")
+_add("w3_facts_by_predicate", by_predicate("w3"), _W3 + "SELECT 'household' AS predicate, count(DISTINCT rep) AS n FROM c UNION ALL SELECT 'placedBy', count(*) FROM orders UNION ALL SELECT 'owns', count(*) FROM orders")
+_add("w3_measures_rew", all_measures("w3", "rew"))
+_w3q = {
+    "q3": ("SELECT ?h (COUNT(*) AS ?n) WHERE { ?o placedBy ?x . ?x household ?h } GROUP BY ?h", "SELECT 'home/' || c_nationkey || '/' || c_mktsegment AS h, sum(n)::BIGINT AS n FROM orders JOIN c ON o_custkey = c_custkey JOIN n USING (rep) GROUP BY 1"),
+    "q4": ("SELECT DISTINCT ?x WHERE { ?o placedBy ?x }", f"SELECT {_CUST} AS x FROM c WHERE rep IN (SELECT rep FROM c JOIN orders ON o_custkey = c_custkey)"),
+    "q6": ("SELECT ?h (COUNT(*) AS ?n) WHERE { ?h owns ?o } GROUP BY ?h ORDER BY DESC(?n) LIMIT 5", "SELECT 'home/' || c_nationkey || '/' || c_mktsegment AS h, count(*) AS n FROM orders JOIN c ON o_custkey = c_custkey GROUP BY 1 ORDER BY n DESC, h LIMIT 5"),
+}
+for _k, (_text, _s) in _w3q.items():
+    _add(f"w3_{_k}", ask("w3", _text), _W3 + _s)
+_add("w3_many_rules", by_predicate("w3_rules", expanded=False), "SELECT 'hasBrand' AS predicate, count(*) AS n FROM part UNION ALL SELECT 'hasType', count(*) FROM part UNION ALL SELECT 'class/' || CASE WHEN p_brand = 'Brand#12' THEN 'Brand#11' ELSE p_brand END || ' ' || p_type, count(*) FROM part GROUP BY 1")
+_add("w3b_clique_sizes", lambda s, d: clique_histogram(W.run_named(s, d, "w3b").mat), "SELECT n, count(*) AS cliques FROM (SELECT count(*) AS n FROM embeddings GROUP BY label HAVING count(*) > 1) GROUP BY n")
+
+# W4, W5, W8, W11: aliases
+_ALIAS = "WITH al AS (SELECT n_nationkey AS k, CASE WHEN n_nationkey >= 20 THEN n_nationkey - 20 ELSE n_nationkey END AS rep FROM nation), m AS (SELECT rep, count(*) AS n FROM al GROUP BY rep)\n"
+_CREG = ", cr AS (SELECT DISTINCT c_custkey, n_regionkey FROM customer JOIN al a ON c_nationkey = a.k JOIN al b ON a.rep = b.rep JOIN nation ON n_nationkey = b.k)\n"
+_add("w4_rep_map", rep_map("w4"), "SELECT 'nation/' || lpad((i + 20)::VARCHAR, 12, '0') AS member, 'nation/' || lpad(i::VARCHAR, 12, '0') AS rep FROM range(5) t(i)")
+_W4_TAIL = """ SELECT 'inNation' AS predicate, (SELECT sum(n) FROM customer JOIN al ON c_nationkey = k JOIN m USING (rep))::BIGINT + (SELECT sum(n) FROM supplier JOIN al ON s_nationkey = k JOIN m USING (rep))::BIGINT AS n
+UNION ALL SELECT 'inRegion', count(*) FROM nation UNION ALL SELECT 'placedBy', count(*) FROM orders
+UNION ALL SELECT 'custRegion', (SELECT count(*) FROM cr) + (SELECT count(*) FROM supplier)
+UNION ALL SELECT 'soldIn', count(*) FROM orders JOIN cr ON o_custkey = c_custkey"""
+_add("w4_expansion_by_predicate", by_predicate("w4", expanded=True), _ALIAS.rstrip() + _CREG + _W4_TAIL)
+_add("w4_measures_rew", all_measures("w4", "rew"))
+_add("w4_q3", ask("w4", "SELECT ?r (COUNT(*) AS ?n) WHERE { ?o soldIn ?r } GROUP BY ?r"), _ALIAS.rstrip() + _CREG + "SELECT 'region/' || lpad(n_regionkey::VARCHAR, 12, '0') AS r, count(*) AS n FROM orders JOIN cr ON o_custkey = c_custkey GROUP BY 1")
+_add("w4_q1", ask("w4", "SELECT ?x WHERE { ?x inNation ?n . ?n inRegion ?r }"), _ALIAS + "SELECT x FROM (SELECT 'customer/' || lpad(c_custkey::VARCHAR, 12, '0') AS x, c_nationkey AS k FROM customer UNION ALL SELECT 'supplier/' || lpad(s_suppkey::VARCHAR, 12, '0'), s_nationkey FROM supplier) JOIN al USING (k) JOIN m USING (rep), LATERAL range(n)")
+_add("w5_closure", closure("w5", predicate="sharesNation"), _ALIAS + "SELECT 'supplier/' || lpad(a.s_suppkey::VARCHAR, 12, '0') AS s, 'sharesNation' AS p, 'supplier/' || lpad(b.s_suppkey::VARCHAR, 12, '0') AS o FROM supplier a JOIN al x ON x.k = a.s_nationkey JOIN al y ON y.rep = x.rep JOIN supplier b ON b.s_nationkey = y.k")
+_add("w5_measures_rew", all_measures("w5", "rew"))
+_LOCAL = "SELECT 'supplier/' || lpad(s_suppkey::VARCHAR, 12, '0') AS s, 'localTo' AS p, 'home' AS o FROM supplier WHERE s_nationkey IN (0, 20)"
+_add("w8_with_rule_rewriting", closure("w8", predicate="localTo"), _LOCAL)
+_add("w8_rep_map", rep_map("w8"), _SQL["w4_rep_map"] + " UNION ALL SELECT 'customer/000000000001', 'customer/000000000000'")
+_W8_LOST = _LOCAL + " UNION ALL SELECT 'customer/000000000000', 'homeOf', 'nation/' || lpad(i::VARCHAR, 12, '0') FROM (VALUES (1), (21)) t(i)"
+_add("w8_facts_only_loss", lost("w8", "facts_only"), _W8_LOST)
+_add("w11_expansion", closure("w11"), "WITH t AS (SELECT 'order/' || lpad(o_orderkey::VARCHAR, 12, '0') AS s, 'customer/' || lpad(o_custkey::VARCHAR, 12, '0') AS c FROM orders), f AS (SELECT s, 'placedBy' AS p, c AS o FROM t UNION ALL SELECT s, 'boughtBy', c FROM t UNION ALL SELECT c, 'hasOrder', s FROM t) SELECT * FROM f UNION ALL SELECT 'placedBy', '=', 'boughtBy' UNION ALL SELECT 'boughtBy', '=', 'placedBy' UNION ALL SELECT x, '=', x FROM (SELECT s AS x FROM f UNION SELECT p FROM f UNION SELECT o FROM f UNION SELECT '=')")
+
+# W7: chains of events
+_EDGES = """
+WITH RECURSIVE e AS (SELECT DISTINCT user_id AS u, json_extract_string(props, '$.k') || '|' || value::DECIMAL(20, 6)::VARCHAR AS d FROM events WHERE %s),
+link AS (SELECT DISTINCT a.u AS a, b.u AS b FROM e a JOIN e b ON a.d = b.d AND a.u <> b.u),
+reach AS (SELECT a, b FROM link UNION SELECT r.a, l.b FROM reach r JOIN link l ON r.b = l.a),
+low AS (SELECT a, least(a, min(b)) AS m FROM reach GROUP BY a)
+SELECT 'user/' || lpad(a::VARCHAR, 12, '0') AS %s, 'user/' || lpad(m::VARCHAR, 12, '0') AS %s FROM low WHERE a <> m
+"""
+_add("w7_rep_map", rep_map("w7"), _EDGES % ("event_type = 'purchase'", "member", "rep"))
+_add("w7_all_rep_map", rep_map("w7_all"), _EDGES % ("true", "member", "rep"))
+
+
+def _user_edges(spark, d) -> DataFrame:
+    f = W.event_facts(table(spark, d, "events"))
+    by = f.where("p = 'byUser'").select("s", F.col("o").alias("user"))
+    key = f.where("p = 'deviceKey'").select("s", F.col("o").alias("key"))
+    seen = saved(by.join(key, "s").select("user", "key").distinct(), "keys")
+    return seen.join(seen.groupBy("key").agg(F.min("user").alias("v")), "key").select(F.col("user").alias("u"), "v")
+
+
+def components(method: str) -> Query:
+    return lambda s, d: connected_components(_user_edges(s, d), method).where("node <> comp")
+
+
+for _m in ("star", "min_label", "driver"):
+    _add(f"components_{_m}", components(_m), _EDGES % ("true", "node", "comp"))
+
+# W9, W10
+_add("w9_contradictions", lambda s, d: _contradictions(s, d, "w9"), "SELECT 'vec/' || lpad(min(vec_id)::VARCHAR, 12, '0') AS s, '!=' AS p, 'vec/' || lpad(min(vec_id)::VARCHAR, 12, '0') AS o FROM embeddings WHERE label = 0")
+_add("w9_consistent", lambda s, d: _contradictions(s, d, "w9_consistent"), "SELECT '' AS s, '' AS p, '' AS o WHERE false")
+
+
+def _contradictions(spark, d, name: str) -> DataFrame:
+    r = W.run_named(spark, d, name)
+    found = r.mat.contradictions
+    return decode(found if found is not None else r.mat.facts().limit(0), r.terms, ["s", "p", "o"])
+
+
+_W10 = "WITH a AS (SELECT DISTINCT user_id AS u, event_type AS t FROM events), c AS (SELECT c_custkey FROM customer)\n"
+_add("w10_q1", ask("w10", "SELECT ?t WHERE { ?c activeOn ?t }"), _W10 + "SELECT 'kind/' || t AS t FROM a UNION ALL SELECT 'kind/' || t FROM a JOIN c ON u = c_custkey")
+_add("w10_q3", ask("w10", "SELECT ?t (COUNT(*) AS ?n) WHERE { ?o byActive ?t } GROUP BY ?t"), _W10 + "SELECT 'kind/' || t AS t, count(*) AS n FROM orders JOIN a ON u = o_custkey JOIN c ON c_custkey = u GROUP BY 1")
+
+# Choices that must not change what follows
+_add("ablation_full_scan", variant("w1", retire="full_scan"), _W1_EXPANDED)
+_add("ablation_star_components", variant("w1", components="star"), _W1_EXPANDED)
+_add("ablation_reflexive_virtual", variant("w1", reflexive="virtual"), _W1_EXPANDED)
+
+
+def queries() -> dict[str, Query]:
+    return dict(_QUERIES)
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return dict(_SQL)
