@@ -15,8 +15,11 @@ from eqmat.operators.mapping import expand, weigh
 from eqmat.operators.materialise import Options, materialise_naive
 from eqmat.operators.measures import clique_histogram, measures, verify_expansion
 from eqmat.plans.costmodel import axiom_estimate, clique_cost, triple_cost
+from eqmat.plans.ontology import rules_from_ontology
 from eqmat.plans.query import parse_query
+from eqmat.plans.rules import parse_rules
 from eqmat.storage import saved, table
+from eqmat.streaming.incremental import events_within
 
 Query = Callable[[SparkSession, str], DataFrame]
 _QUERIES: dict[str, Query] = {}
@@ -314,6 +317,128 @@ _add("ablation_star_components", variant("w1", components="star"), _W1_EXPANDED)
 _add("ablation_reflexive_virtual", variant("w1", reflexive="virtual"), _W1_EXPANDED)
 
 
+# Ontologies: axioms become rules; the same axioms as triples under fixed rules give the same facts
+
+_SEGMENTS = ("AUTOMOBILE", "BUILDING", "FURNITURE", "HOUSEHOLD", "MACHINERY")
+AXIOMS = [
+    *[("subclass", f"class/{x}", "class/Customer") for x in _SEGMENTS],
+    ("domain", "placedBy", "class/Order"), ("range", "placedBy", "class/Buyer"), ("inverse", "placedBy", "placed"), ("subproperty", "placed", "touched"),
+    ("chain", "orderNation", "placedBy", "inNation"), ("intersection", "class/BuyingBuilder", "class/Buyer", "class/BUILDING"), ("cardinality_three", "class/Order", "placedBy"),
+]
+
+
+def _shop_facts(spark, d) -> DataFrame:
+    from eqmat.sources.triples import resource, triples_from
+
+    cust = resource("customer", F.col("c_custkey"))
+    return triples_from(table(spark, d, "customer"), cust, {"type": F.concat(F.lit("class/"), "c_mktsegment"), "inNation": resource("nation", F.col("c_nationkey"))}).unionByName(
+        triples_from(table(spark, d, "orders"), resource("order", F.col("o_orderkey")), {"placedBy": resource("customer", F.col("o_custkey"))})
+    )
+
+
+def ontology_workload(spark, d) -> W.Workload:
+    rules, facts, _ = rules_from_ontology(AXIOMS)
+    return W.Workload("ontology", _shop_facts(spark, d), rules)
+
+
+def rdf_style_program() -> tuple:
+    """Rules that do not depend on the ontology, for axioms held as triples."""
+    return parse_rules("""
+?x type ?d <- ?x type ?c, ?c subClassOf ?d
+?x type ?c <- ?x ?p ?y, ?p domain ?c
+?y type ?c <- ?x ?p ?y, ?p range ?c
+?y ?q ?x <- ?x ?p ?y, ?p inverseOf ?q
+?x ?p ?y <- ?y ?q ?x, ?p inverseOf ?q
+?x ?q ?y <- ?x ?p ?y, ?p subPropertyOf ?q
+?x ?p ?z <- ?x ?q ?y, ?y ?r ?z, ?p chainFirst ?q, ?p chainSecond ?r
+?x type ?c <- ?x type ?d, ?x type ?e, ?c bothFirst ?d, ?c bothSecond ?e
+?x type ?d <- ?x type ?c, ?c bothFirst ?d
+?x type ?d <- ?x type ?c, ?c bothSecond ?d
+""")
+
+
+def rdf_workload(spark, d) -> W.Workload:
+    from eqmat.sources.triples import constants
+
+    name = {"subclass": "subClassOf", "domain": "domain", "range": "range", "inverse": "inverseOf", "subproperty": "subPropertyOf"}
+    rows = [(a[1], name[a[0]], a[2]) for a in AXIOMS if a[0] in name]
+    rows += [x for a in AXIOMS if a[0] == "chain" for x in ((a[1], "chainFirst", a[2]), (a[1], "chainSecond", a[3]))]
+    rows += [x for a in AXIOMS if a[0] == "intersection" for x in ((a[1], "bothFirst", a[2]), (a[1], "bothSecond", a[3]))]
+    return W.Workload("rdf", _shop_facts(spark, d).unionByName(constants(spark, rows)), rdf_style_program()[0])
+
+
+W.WORKLOADS["ontology"], W.WORKLOADS["rdf"] = ontology_workload, rdf_workload
+
+
+def _typed(object_: str | None = None, predicate: str = "type", name: str = "ontology") -> Query:
+    def query(spark, d):
+        out = closure(name, "plain", expanded=False, predicate=predicate)(spark, d)
+        return out.where(F.col("o") == object_) if object_ else out
+
+    return query
+
+
+def _rdf_agreement(spark, d) -> DataFrame:
+    a, b = (closure(n, "plain", expanded=False)(spark, d).where("p in ('type', 'placed', 'touched', 'orderNation', 'placedBy', 'inNation')") for n in ("ontology", "rdf"))
+    return a.exceptAll(b).agg(F.count("*").alias("missing")).crossJoin(b.exceptAll(a).agg(F.count("*").alias("extra")))
+
+
+_C, _O = "'customer/' || lpad(c_custkey::VARCHAR, 12, '0')", "'order/' || lpad(o_orderkey::VARCHAR, 12, '0')"
+_OC = _C.replace("c_custkey", "o_custkey")
+_add("ontology_subclass", _typed("class/Customer"), f"SELECT {_C} AS s, 'type' AS p, 'class/Customer' AS o FROM customer")
+_add("ontology_domain_range", _typed("class/Buyer"), f"SELECT DISTINCT {_OC} AS s, 'type' AS p, 'class/Buyer' AS o FROM orders")
+_add("ontology_inverse", _typed(predicate="touched"), f"SELECT {_OC} AS s, 'touched' AS p, {_O} AS o FROM orders")
+_add("ontology_chain", _typed(predicate="orderNation"), f"SELECT {_O} AS s, 'orderNation' AS p, 'nation/' || lpad(c_nationkey::VARCHAR, 12, '0') AS o FROM orders JOIN customer ON o_custkey = c_custkey")
+_add("ontology_intersection", _typed("class/BuyingBuilder"), f"SELECT DISTINCT {_OC} AS s, 'type' AS p, 'class/BuyingBuilder' AS o FROM orders JOIN customer ON o_custkey = c_custkey WHERE c_mktsegment = 'BUILDING'")
+_add("rdf_style_equals_dl_style", _rdf_agreement, "SELECT 0 AS missing, 0 AS extra")
+
+
+# Streams
+
+
+def _in_batches(spark, d, parts: int = 5) -> DataFrame:
+    from eqmat.streaming.incremental import LiveMaterialisation
+
+    live = LiveMaterialisation(spark, parse_rules(W.EVENT_RULES)[0])
+    events = table(spark, d, "events").where("event_type = 'purchase'")
+    for k in reversed(range(parts)):
+        live.add(saved(W.event_facts(events.where(F.pmod("event_id", F.lit(parts)) == k)), "batch"))
+    named = decode(live.mat.rep_map.members(), live.terms, ["rep", "member"])
+    low = named.groupBy("rep").agg(F.min("member").alias("least"))
+    return named.join(low, "rep").where("member <> least and member like 'user/%'").select("member", F.col("least").alias("rep"))
+
+
+_add("w7_stream_equals_batch", _in_batches, _SQL["w7_rep_map"])
+_add("events_within_hour", lambda s, d: events_within(table(s, d, "events"), 3600), "SELECT a.user_id, a.event_id AS earlier, b.event_id AS later FROM events a JOIN events b ON a.user_id = b.user_id AND b.ts >= a.ts AND b.ts <= a.ts + INTERVAL 1 HOUR AND (a.ts < b.ts OR a.event_id < b.event_id)")
+
+
+# Redundant axioms and the table of factors
+
+
+def _redundant(spark, d) -> DataFrame:
+    """The closure of the example with symmetry and transitivity stated as well; it takes more derivations."""
+    r = W.run(W.worked_example(spark), "ax", with_redundant=True)
+    return decode(r.mat.store.live().select("s", "p", "o"), r.terms, ["s", "p", "o"])
+
+
+def factors(*names: str) -> Query:
+    """Cost of the axioms over cost of rewriting, for each workload and measure; triples against both counts of rewriting."""
+
+    def query(spark, d):
+        rows = []
+        for n in names:
+            ax, rew = (measures(W.run_named(spark, d, n, m).mat) for m in ("ax", "rew"))
+            for k in ("triples_unmarked", "triples_total", "rule_applications", "derivations"):
+                rows.append((n, k, float(ax["triples_total" if k == "triples_unmarked" else k]), float(rew[k]), ax["triples_total" if k == "triples_unmarked" else k] / max(rew[k], 1)))
+        return spark.createDataFrame(rows, "workload string, measure string, axioms double, rewriting double, factor double")
+
+    return query
+
+
+_add("ablation_redundant_axioms", _redundant, _EXAMPLE_CLOSURE)
+_add("factor_table", factors("example", "w1"))
+
+
 def queries() -> dict[str, Query]:
     return dict(_QUERIES)
 

@@ -28,6 +28,14 @@ def encode_terms(names: DataFrame, order: list[str] | None = None) -> DataFrame:
     return saved(fixed.unionByName(ids).withColumn("num", F.expr("try_cast(lexical as double)")), "terms")
 
 
+def extend_terms(terms: DataFrame, names: DataFrame) -> DataFrame:
+    """terms with ids for names(lexical) that it lacks, after those that it has."""
+    new = names.select("lexical").distinct().join(terms.select("lexical"), "lexical", "left_anti")
+    last = terms.agg(F.max("id")).first()[0]
+    more = encode_terms(new).where(F.col("id") >= FIRST_FREE).withColumn("id", F.col("id") + (last - FIRST_FREE + 1))
+    return saved(terms.unionByName(more), "terms")
+
+
 def lookup(terms: DataFrame, names) -> dict[str, int]:
     """Ids of a few names, such as the constants of rules and queries."""
     wanted = list(dict.fromkeys(names))

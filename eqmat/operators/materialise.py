@@ -49,6 +49,7 @@ class Materialisation:
     consistent: bool = True
     seconds: float = 0.0
     options: Options = field(default_factory=Options)
+    next_born: int = 0
 
     def facts(self) -> DataFrame:
         """Live facts, with reflexive equalities also where they are virtual."""
@@ -122,14 +123,17 @@ def rewrite_rules(rules: list[Rule], changed: list[DataFrame], rep_map: RepMap)
     return new, [r for r in new if r not in before]
 
 
-def _run(spark: SparkSession, facts: DataFrame, rules: list[Rule], opts: Options) -> Materialisation:
+def _run(spark: SparkSession, facts: DataFrame, rules: list[Rule], opts: Options, mat: Materialisation | None = None) -> Materialisation:
+    """Rounds from facts on; ``mat``: a finished run that takes the facts in, with its own rules."""
     began = time.time()
-    mat = Materialisation(spark, FactStore(spark), RepMap.identity(spark), unique(rules), options=opts)
-    delta, n = mat.store.add(facts, 0)
-    fresh_rules: list[Rule] = []
+    mat = mat or Materialisation(spark, FactStore(spark), RepMap.identity(spark), unique(rules), options=opts)
+    rules, start = mat.rules, mat.next_born
+    delta, n = mat.store.add(mat.rep_map.normalise(facts.select(*KEYS)) if start else facts, start)
+    if start and not n:
+        return mat
     eq_in_bodies = any(t == EQ_ID for r in rules for a in r.body for t in a.terms) or any(hasattr(a.p, "name") for r in rules for a in r.body)
-    found = []
-    for k in range(opts.most_rounds):
+    found = [mat.contradictions] if mat.contradictions is not None else []
+    for k in range(start, start + opts.most_rounds):
         row: dict = {"round": k, "delta": n, "delta_total": n}
         gone: list[DataFrame] = []
         if opts.merge:
@@ -141,7 +145,7 @@ def _run(spark: SparkSession, facts: DataFrame, rules: list[Rule], opts: Options
         else:
             fresh_rules = []
         row["fresh_rules"] = len(fresh_rules)
-        neq = mat.rep_map.lookup([NEQ_ID])[NEQ_ID] if gone or k == 0 else neq
+        neq = mat.rep_map.lookup([NEQ_ID])[NEQ_ID] if gone or k == start else neq
         clash = contradictions(mat.store.live() if gone else delta, neq)
         if clash.limit(1).count():
             mat.consistent = False
@@ -178,7 +182,8 @@ def _run(spark: SparkSession, facts: DataFrame, rules: list[Rule], opts: Options
     else:
         raise RuntimeError("materialisation: more rounds than allowed")
     mat.contradictions = reduce(DataFrame.unionByName, found).distinct() if found else None
-    mat.seconds = time.time() - began
+    mat.seconds += time.time() - began
+    mat.next_born = k + 2
     return mat
 
 
@@ -188,6 +193,12 @@ def materialise_rewriting(spark: SparkSession, facts: DataFrame, rules: list[Rul
     return _run(spark, facts, rules, opts or Options())
 
 
+def extend(mat: Materialisation, facts: DataFrame) -> Materialisation:
+    """Take more facts(s, p, o) into a finished materialisation; the result is that of all facts at once, in any order
+    and however they are cut into batches, since nothing that was derived is ever taken back."""
+    return _run(mat.spark, facts, mat.rules, mat.options, mat)
+
+
 def materialise_plain(spark: SparkSession, facts: DataFrame, rules: list[Rule], opts: Options | None = None) -> Materialisation:
     """The fixpoint alone; EQ is a predicate like others."""
     opts = opts or Options()
