@@ -245,7 +245,7 @@ _w3q = {
 }
 for _k, (_text, _s) in _w3q.items():
     _add(f"w3_{_k}", ask("w3", _text), _W3 + _s)
-_add("w3_many_rules", by_predicate("w3_rules", expanded=False), "SELECT 'hasBrand' AS predicate, count(*) AS n FROM part UNION ALL SELECT 'hasType', count(*) FROM part UNION ALL SELECT 'class/' || CASE WHEN p_brand = 'Brand#12' THEN 'Brand#11' ELSE p_brand END || ' ' || p_type, count(*) FROM part GROUP BY 1")
+_add("w3_many_rules", by_predicate("w3_rules", expanded=False), "SELECT 'hasBrand' AS predicate, count(*) AS n FROM part UNION ALL SELECT 'hasType', count(*) FROM part UNION ALL SELECT 'class/' || b || ' ' || t, count(*) FROM (SELECT DISTINCT p_brand AS b, p_type AS t FROM part) JOIN part ON p_type = t AND (p_brand = b OR (p_brand IN ('Brand#11', 'Brand#12') AND b IN ('Brand#11', 'Brand#12'))) GROUP BY 1")
 _add("w3b_clique_sizes", lambda s, d: clique_histogram(W.run_named(s, d, "w3b").mat), "SELECT n, count(*) AS cliques FROM (SELECT count(*) AS n FROM embeddings GROUP BY label HAVING count(*) > 1) GROUP BY n")
 
 # W4, W5, W8, W11: aliases
