@@ -156,8 +156,8 @@ def encode_texts(path: str, texts: list[str | None]) -> list[bytes]:
         cut = []
         for c in missing:
             body = c.rstrip(_MARKS)
-            if body.isalpha():
-                cut.append((body.lower() if body.isascii() else body, c[len(body) :]))
+            if body.isalpha() and (low := body.lower()).isalpha():  # lower case can end in a mark of its own
+                cut.append((low if body.isascii() else body, c[len(body) :]))
             else:
                 cut.append((c, ""))
         flat = [w for pair in cut for w in pair]

@@ -1,0 +1,421 @@
+import base64
+import random
+import re
+from collections import Counter
+
+import numpy as np
+import public_tokenizers
+import pytest
+import tiktoken
+import xxhash
+from pyspark.sql import functions as F
+from tokenizers import Tokenizer
+
+from eqmat.llm import byte_bpe, chat, language, packing, personal, quality, queries, sharding, simhash, toxicity, vectors
+from eqmat.storage import table
+
+SF = "/root/testdata/sf0.001"
+ODD = ["", None, " ", "\n\n", "a", "ab", "a b", "aaaa " * 700, "x" * 5000, "日本語 テキスト 12", "it's  a\n\ntest\t…", "é é İ ǅ", "\x1c\x85 a b"]
+DOCS = "doc_id long, text string, lang string, source string, task string, fp string, w string"
+
+
+@pytest.fixture(scope="module")
+def odd(spark):
+    rows = [(i, t, "en", "s", "clash", "clash", "clash") for i, t in enumerate(ODD)] + [(None, "null id here", None, None, "", "", ""), (3, "\n\n", "en", "s", "", "", "")]
+    return spark.createDataFrame(rows, DOCS).repartition(2)
+
+
+@pytest.fixture(scope="module")
+def nothing(spark):
+    return spark.createDataFrame([], DOCS)
+
+
+def rank_coder():
+    path = public_tokenizers.path("byte_bpe_50k.tiktoken")
+    own = byte_bpe.ByteBPE.from_file(path, public_tokenizers.PATTERN)
+    return path, own, tiktoken.Encoding("own", pat_str=public_tokenizers.PATTERN, mergeable_ranks=own.ranks, special_tokens={})
+
+
+def noise(n, seed=1, letters="ab c\n\t'st1,. é\x1c日 "):
+    r = random.Random(seed)
+    return ["".join(r.choice(letters) for _ in range(r.randint(0, 30))) for _ in range(n)]
+
+
+# 6: byte BPE
+
+
+def test_byte_bpe_equals_the_library(spark, odd, nothing):
+    path, own, ref = rank_coder()
+    for t in [x or "" for x in ODD] + noise(500):
+        ids = own.encode_batch([t])[0]
+        assert np.frombuffer(ids, "<u4").tolist() == ref.encode_ordinary(t)
+        assert own.decode(ids) == t.encode()
+    rows = byte_bpe.encode(odd, path, public_tokenizers.PATTERN)
+    assert rows.count() == len(ODD) + 2 and byte_bpe.encode(nothing, path, public_tokenizers.PATTERN).count() == 0
+    back = {r["doc_id"]: bytes(r["text_bytes"]) for r in byte_bpe.decode(rows, path, public_tokenizers.PATTERN).collect()}
+    assert all(back[i] == (t or "").encode() for i, t in enumerate(ODD))
+
+
+def test_rank_queue_gives_ranks_in_order():
+    queue, r, want = byte_bpe.RankQueue(), random.Random(0), Counter()
+    for _ in range(500):
+        rank = r.randrange(64**3)
+        queue.push(rank, r.randrange(9))
+        want[rank] += 1
+    got = []
+    while (rank := queue.first()) >= 0:
+        got.append((rank, len(queue.pop(rank))))
+    assert got == sorted(want.items())
+
+
+def test_tiny_vocabulary_merges_left_to_right():
+    ranks = {bytes([b]): b for b in range(256)} | {b"aa": 256, b"aaa": 257, b"ab": 258}
+    own = byte_bpe.ByteBPE(ranks, public_tokenizers.PATTERN)
+    assert np.frombuffer(own.merge([b"aaaab"])[0], "<u4").tolist() == tiktoken.Encoding("t", pat_str=public_tokenizers.PATTERN, mergeable_ranks=ranks, special_tokens={}).encode_ordinary("aaaab")
+    assert base64.b64decode("YQ==") == own.bytes_of[97]
+
+
+# 9: packing
+
+
+def test_word_ids_equal_the_library():
+    path = public_tokenizers.path("word_bpe_49k.json")
+    tok = Tokenizer.from_file(path)
+    tok.encode_special_tokens = True
+    texts = [x or "" for x in ODD] + noise(300, 2) + noise(300, 3, "aZé'-. \nstİΣ1<|>")
+    for t, ids in zip(texts, packing.encode_texts(path, texts), strict=True):
+        assert np.frombuffer(ids, "<u4").tolist() == tok.encode(t, add_special_tokens=False).ids, t
+
+
+def check_packing(rows, capacity):
+    bins = {}
+    for r in rows:
+        bins.setdefault(r["sequence_id"], []).append((r["offset"], r["length"]))
+    for own in bins.values():
+        at = 0
+        for offset, n in sorted(own):
+            assert offset == at
+            at += n
+        assert at <= capacity
+    return len(bins)
+
+
+def test_packing_is_gapless_and_tight(spark, odd, nothing):
+    path = public_tokenizers.path("word_bpe_49k.json")
+    rows = packing.pack(table(spark, SF, "documents"), path).collect()
+    n = check_packing(rows, 2048)
+    assert n <= 1.02 * sum(r["length"] for r in rows) / 2048 + 1
+    assert all(r["length"] == 2048 or r["piece"] == max(x["piece"] for x in rows if x["doc_id"] == r["doc_id"]) for r in rows)
+    rows = packing.pack(odd, path, capacity=16).collect()
+    check_packing(rows, 16)
+    assert {r["doc_id"] for r in rows} == {None, *range(len(ODD))}
+    assert packing.pack(nothing, path).count() == 0
+
+
+def test_fullest_is_exact():
+    r = random.Random(4)
+    for _ in range(60):
+        counts = {r.randint(1, 30): r.randint(1, 3) for _ in range(5)}
+        room = r.randint(1, 60)
+        sums = {0}
+        for x, n in counts.items():
+            sums = {s + k * x for s in sums for k in range(n + 1)}
+        use = packing.fullest(counts, room)
+        assert sum(x * k for x, k in use.items()) == max(s for s in sums if s <= room) and all(k <= counts[x] for x, k in use.items())
+    plan = packing.minimum_slack_plan({3: 5, 4: 2, 7: 1}, 7)
+    assert sum(t for _, t in plan) == 5 and sum(k * t for u, t in plan for k in u.values()) == 8  # 30 units need five sequences of 7
+
+
+# 2: SimHash
+
+
+def plain_fingerprint(text):
+    words = re.findall(r"[^\x20\x09-\x0D]+", re.sub("[A-Z]", lambda m: m.group().lower(), text or ""))
+    shingles = [" ".join(words[i : i + 3]) for i in range(len(words) - 2)] or ([" ".join(words)] if words else [])
+    h = [xxhash.xxh64_intdigest(s.encode(), 42) for s in shingles]
+    return sum(1 << b for b in range(64) if 2 * sum(x >> b & 1 for x in h) > len(h))
+
+
+def plain_components(prints):
+    """prints: list of (doc_id, fingerprint) -> component of each, by brute force."""
+    comp = [i for i, _ in prints]
+    changed = True
+    while changed:
+        changed = False
+        for i, (_, a) in enumerate(prints):
+            for j, (_, b) in enumerate(prints):
+                if (a ^ b).bit_count() <= 3 and comp[j] < comp[i]:
+                    comp[i], changed = comp[j], True
+    return comp
+
+
+def test_simhash_equals_brute_force(spark, odd, nothing):
+    docs = table(spark, SF, "documents")
+    rows = [(r["doc_id"], r["text"]) for r in docs.collect()]
+    prints = [(i, plain_fingerprint(t)) for i, t in rows]
+    want = {(i, f"{f:016x}", c) for (i, f), c in zip(prints, plain_components(prints), strict=True)}
+    assert {tuple(r) for r in simhash.near_duplicates(docs).collect()} == want
+    got = simhash.near_duplicates(odd).collect()
+    assert len(got) == len(ODD) + 2 and {r["fingerprint"] for r in got if r["doc_id"] in (0, 1, 2)} == {"0" * 16}
+    assert simhash.near_duplicates(nothing).count() == 0
+    kept = simhash.keep_one(odd)
+    assert kept.columns == odd.columns and kept.count() == len({r["component_id"] for r in got})
+
+
+@pytest.mark.parametrize("most_group", [4096, 8])
+def test_groups_lose_no_link(spark, monkeypatch, most_group):
+    monkeypatch.setattr(simhash, "MOST_GROUP", most_group)
+    r = random.Random(6)
+    base = [r.getrandbits(64) for _ in range(30)]
+    prints = sorted({b ^ sum({1 << r.randrange(64) for _ in range(r.randint(0, 4))}) for b in base for _ in range(12)})
+    df = spark.createDataFrame([(int(np.uint64(p).view(np.int64)),) for p in prints], "fp long")
+    got = {x["node"]: x["comp"] for x in simhash.fingerprint_components(df).collect()}
+    signed = [int(np.uint64(p).view(np.int64)) for p in prints]
+    want = plain_components(list(zip(signed, prints, strict=True)))
+    assert {s: got.get(s, s) for s in signed} == dict(zip(signed, want, strict=True))
+
+
+def test_dense_cluster_in_the_index(monkeypatch):
+    monkeypatch.setattr(simhash, "MOST_FRONTIER", 500)
+    prints = np.unique(np.array([1 << i | 1 << j for i in range(40) for j in range(40)], np.uint64))
+    assert len(set(simhash.GrayIndex(np.zeros(len(prints), np.int64), prints).connect(3))) == 1
+
+
+# 8: vectors
+
+
+def test_vectors_equal_brute_force(spark):
+    r = np.random.default_rng(3)
+    base = r.normal(size=(12, 20))
+    rows = [(i, [float(np.float32(x)) for x in base[i % 12] + r.normal(size=20) * (0.28 if i % 3 else 0)], i % 2) for i in range(140)]
+    rows += [(200, None, 1), (201, [0.0] * 20, 1), (202, [float("nan")] * 20, 1), (203, rows[0][1], None), (204, [1.0], 1), (205, [None] * 20, 0), (None, rows[1][1], 1), (206, [], 0)]
+    df = spark.createDataFrame([(*x, "clash") for x in rows], "vec_id long, embedding array<float>, label int, node string")
+    got = {x["vec_id"]: x for x in vectors.near_duplicates(df, tile=16, sample=50).collect() if x["vec_id"] is not None}
+    v = {i: (np.array(e), y) for i, e, y in rows[:140]}
+    cos = lambda a, b: float(a @ b / np.sqrt(a @ a) / np.sqrt(b @ b))
+    links = {i: {j for j in v if j != i and v[i][1] == v[j][1] and cos(v[i][0], v[j][0]) >= 0.93} for i in v}
+    comp = {i: i for i in v}
+    for _ in v:
+        comp = {i: min([comp[i], *[comp[j] for j in links[i]]]) for i in v}
+    assert any(links.values())
+    assert all((got[i]["n_links"], got[i]["component_id"], got[i]["kept"]) == (len(links[i]), comp[i], comp[i] == i) for i in v)
+    assert all((got[i]["n_links"], got[i]["component_id"]) == (0, i) for i in range(200, 207))
+    assert vectors.near_duplicates(df.limit(0)).count() == 0
+
+
+# 7: quality
+
+
+def plain_statistics(text):
+    w = re.findall(r"[^\x20\x09-\x0D]+", text or "")
+    seen = Counter(zip(w, w[1:], w[2:], strict=False))
+    repeat = {i + k for i in range(len(w) - 2) if seen[w[i], w[i + 1], w[i + 2]] > 1 for k in range(3)}
+    lines = [x for x in (text or "").split("\n") if re.search(r"[^\x20\x09-\x0D]", x)]
+    return len(w), sum(map(len, w)), len(re.findall(r"[#*$%&|<>]", text or "")), len(lines) - len(set(lines)), len(repeat)
+
+
+def test_quality_statistics_and_verdict(spark, odd, nothing):
+    docs = table(spark, "/root/testdata/sf0.01", "documents")
+    text = {r["doc_id"]: r["text"] for r in docs.collect()}
+    rows = quality.assess(docs).collect()
+    assert len(rows) == len(text)
+    for r in rows:
+        got = (r["n_words"], r["word_chars"], r["n_symbols"], r["n_dup_lines"], r["n_repeat_words"])
+        assert got == plain_statistics(text[r["doc_id"]])
+        assert r["base_failed"] == (r["n_words"] < 50 or 100 * r["n_repeat_words"] > 50 * r["n_words"])
+    labels = {r["doc_id"]: r["quality"] for r in table(spark, "/root/testdata/sf0.01", "labels").collect()}
+    judged = [(labels[r["doc_id"]], r["kept"]) for r in rows if r["doc_id"] in labels and not r["base_failed"]]
+    assert np.mean([k for y, k in judged if y]) > 0.98 and np.mean([k for y, k in judged if not y]) < 0.1
+    assert {r["doc_id"]: r["kept"] for r in quality.assess(odd).collect()}[0] is False
+    assert quality.assess(nothing).count() == 0
+
+
+def test_symbols_count_twice_for_astral_characters(spark):
+    df = spark.createDataFrame([(1, "😀 a\x0bb 😀", "en", "s")], "doc_id long, text string, lang string, source string")
+    r = quality.assess(df).first()
+    assert (r["n_words"], r["word_chars"]) == (4, 4)
+
+
+# 5: language
+
+
+def test_gradients_through_time():
+    m = language.ByteGRU(["a", "b", "c"], hidden=3)
+    m.p = {k: v.astype(np.float64) for k, v in m.p.items()}
+    r = np.random.default_rng(0)
+    x, y, mask = r.integers(0, 256, (5, 12)), np.array([0, 1, 2, 0, 1]), np.arange(12)[None, :] < np.array([12, 5, 12, 7, 1])[:, None]
+    _, g = m.gradients(x.astype(np.uint8), y, mask)
+    for k in m.p:
+        i = np.unravel_index(np.abs(g[k]).argmax(), g[k].shape)
+        for e, sign in ((1e-3, 1), (-2e-3, -1), (1e-3, 0)):
+            m.p[k][i] += e
+            if sign:
+                loss = m.gradients(x.astype(np.uint8), y, mask)[0]
+                up = loss if sign > 0 else up - loss  # noqa: F821
+        assert up / 2e-3 == pytest.approx(g[k][i], rel=0.01, abs=1e-4)  # states are in single precision
+
+
+def test_language_on_held_out_documents(spark, odd, nothing):
+    d = "/root/testdata/sf0.01"
+    got = {r["doc_id"]: r for r in queries.op5_language_id(spark, d).collect()}
+    lang = {r["doc_id"]: r["lang"] for r in table(spark, d, "documents").collect()}
+    held = [r for r in got.values() if r["held_out"]]
+    assert len(got) == len(lang) and np.mean([r["lang_pred"] == lang[r["doc_id"]] for r in held]) > 0.95
+    assert all(0 <= r["score"] <= 1 for r in got.values())
+    model = language.train(odd)
+    pred = {r["doc_id"]: r["lang_pred"] for r in language.predict(odd, model).collect()}
+    assert [pred[i] for i in range(4)] == ["und"] * 4 and language.predict(nothing, model).count() == 0
+    assert language.train(nothing).labels == ["und"]
+
+
+# 4: toxicity
+
+
+def edits(a, b):
+    row = list(range(len(b) + 1))
+    for i, x in enumerate(a):
+        last, row[0] = row[:], i + 1
+        for j, y in enumerate(b):
+            row[j + 1] = min(last[j] + (x != y), last[j + 1] + 1, row[j] + 1)
+    return row[-1]
+
+
+def test_automaton_equals_edit_distance():
+    terms, r = ["idiot", "worthless", "scum", "trash", "pathetic"], random.Random(5)
+    auto = toxicity.LexiconAutomaton(terms)
+    for _ in range(3000):
+        w = list(r.choice(terms))
+        for _ in range(r.randint(0, 3)):
+            i = r.randrange(len(w) + 1)
+            w[i : i + r.randint(0, 1)] = r.choice(["", "a", "t", "x"])
+        w = "".join(w)
+        want = min((e for t in terms if (e := edits(w, t)) <= toxicity.allowed_edits(t)), default=-1)
+        assert auto.edits(w) == want, w
+    assert toxicity.LexiconAutomaton(["vek*"]).edits("vekimo") == 0 and toxicity.LexiconAutomaton(["vek*"]).edits("vek") == -1
+
+
+def test_context_tells_quotation_from_abuse():
+    m = toxicity.ToxicityModel(["idiot", "worthless"])
+    meant, misspelt, quoted, clean = m.scores(["you idiot, you worthless thing", "you idiott and worthles", 'they wrote "idiot" and "worthless" there', "a fine day"])
+    assert meant > 0.5 > quoted and misspelt > quoted > clean
+
+
+def test_toxicity_on_held_out_documents(spark, odd, nothing):
+    d = "/root/testdata/sf0.01"
+    got = {r["doc_id"]: r for r in queries.op4_toxicity_scores(spark, d).collect()}
+    rows = [(r, got[r["doc_id"]]) for r in table(spark, d, "labels").collect()]
+    lang = {r["doc_id"]: r["lang"] for r in table(spark, d, "documents").collect()}
+    held = [(y["toxic"], p["predicted"]) for y, p in rows if p["held_out"] and lang[y["doc_id"]] == "en"]
+    assert np.mean([a == b for a, b in held]) > 0.95
+    assert len(got) == len(lang) and all(0 <= r["score"] <= 1 for r in got.values())
+    m = toxicity.ToxicityModel(["idiot"])
+    assert toxicity.score(odd, m).count() == len(ODD) + 2 and toxicity.score(nothing, m).count() == 0
+
+
+# 3: personal data
+
+
+def test_surrogates(spark, odd, nothing):
+    text = "Mr. John Smith met Mrs Anna Müller and Dr Иван Петров; a.b@c.co.uk A.B@C.CO.UK 4785380592391139 4785-3805-9239-1139 +1 (743) 555-3824, 10.0.0.1!! 123-45-6789 key 1eb9c654e721b4f812088970e66a6345cee33dd6### v2.0.1"
+    df = spark.createDataFrame([(1, text, 3), (2, "again 10.0.0.1 and Mr. John Smith", 4), (3, None, 0), (4, "none 12", 1)], "doc_id long, text string, n_chars long")
+    got = {r["doc_id"]: r for r in personal.replace_personal(df).collect()}
+    new = got[1]["text"]
+    for old in ("John", "Smith", "Müller", "Петров", "a.b@c", "A.B@C", "4785", "743", "10.0.0.1", "123-45", "1eb9c654"):
+        assert old not in new
+    shape = r"Mr\. \w+ \w+ met Mrs \w+ \w+ and Dr [а-яА-Я]+ [а-яА-Я]+; \S+@\S+\.example\.com \S+@\S+\.EXAMPLE\.COM (\d{16}) (\d{4}-\d{4}-\d{4}-\d{4}) \+1 \(\d{3}\) 555-\d{4}, (\d+\.\d+\.\d+\.\d+)!! \d{3}-\d{2}-\d{4} key [0-9a-f]{40}### v2\.0\.1"
+    m = re.fullmatch(shape, new)
+    assert m and m[1] == m[2].replace("-", "") and m[3] in got[2]["text"]
+    assert re.search(r"Mr\. (\w+ \w+)", new)[1] in got[2]["text"] and got[1]["n_chars"] == len(new)
+    assert got[3]["text"] is None and got[4]["text"] == "none 12"
+    assert personal.replace_personal(odd).count() == len(ODD) + 2 and personal.replace_personal(nothing).count() == 0
+    assert personal.replace_personal(df, key="other").where("doc_id = 1").first()["text"] != new
+
+
+def test_surrogates_are_distinct_and_not_real(spark):
+    rows = [("ip", f"10.0.{i // 250}.{i % 250}", "") for i in range(2000)] + [("ssn", f"{100 + i}450{i:04d}"[:9], "") for i in range(50)]
+    ents = spark.createDataFrame(rows, "kind string, norm string, gender string").distinct()
+    got = personal.surrogate_table(ents, "k").collect()
+    assert len(got) == ents.count() == len({(r["kind"], r["sur"]) for r in got})
+    assert not {(r["kind"], r["sur"]) for r in got} & {(k, n) for k, n, _ in rows}
+
+
+def test_colliding_draws_are_drawn_again(spark):
+    ents = spark.createDataFrame([("person", n, "m") for n in ("Aa", "Bb", "Cc")] + [("other", c, "") for c in "123456"], "kind string, norm string, gender string")
+    got = personal.surrogate_table(ents.where("kind = 'person'"), "k").collect()
+    assert len({r["sur"] for r in got}) == 3
+    with pytest.raises(RuntimeError):  # ten digits for ten real digits: nothing is free
+        personal.surrogate_table(spark.createDataFrame([("other", str(i), "") for i in range(10)], "kind string, norm string, gender string"), "k", most_attempts=2)
+
+
+# 1: shards
+
+
+def test_shards_fit_and_partition(spark, odd, nothing):
+    docs = table(spark, SF, "documents")
+    rows = sharding.assign_shards(docs, 20_000).collect()
+    assert len(rows) == docs.count()
+    held = Counter()
+    for r in rows:
+        held[r["shard"]] += r["n_bytes"]
+    sizes = {r["shard"]: r["shard_bytes"] for r in rows}
+    single = Counter(r["shard"] for r in rows)
+    assert all(held[s] == sizes[s] and (held[s] <= 20_000 or single[s] == 1) for s in held)
+    assert not any(a != b and b.startswith(a) for a in held for b in held)
+    assert sharding.assign_shards(odd, 100).count() == len(ODD) + 2 and sharding.assign_shards(nothing, 100).count() == 0
+
+
+def test_equal_keys_go_on_in_pages(spark):
+    df = spark.createDataFrame([(7, "x" * 10)] * 40 + [(8, "y" * 10)], "doc_id long, text string")
+    rows = sharding.assign_shards(df, 50).collect()
+    held = Counter()
+    for r in rows:
+        held[r["shard"]] += r["n_bytes"]
+    assert len(rows) == 41 and max(held.values()) <= 50
+
+
+# 10: chat
+
+
+def test_roles_are_recovered(spark):
+    conv = table(spark, "/root/testdata/sf0.01", "conversations")
+    got = chat.format_conversations(conv).withColumnRenamed("role", "found").join(conv, ["conv_id", "turn"])
+    assert got.count() == conv.count()
+    assert got.where("role = found").count() >= 0.95 * conv.count()
+    assert got.where(F.col("rendered").startswith("<|im_start|>")).count() >= 0.95 * conv.count()
+
+
+def test_chunks_give_the_best_path(spark):
+    m = chat.SpeakerModel()
+    r = random.Random(8)
+    for _ in range(20):
+        seen = [r.randrange(chat.SYMBOLS) for _ in range(r.randint(1, 9))]
+        whole = m.chunk_scores(seen, True)
+        cut = r.randint(1, len(seen))
+        parts = m.chunk_scores(seen[:cut], True)
+        if cut < len(seen):
+            parts = (parts[:, :, None] + m.chunk_scores(seen[cut:], False)[None]).max(axis=1)
+        assert np.allclose(whole, parts)
+    rows = [(1, i, t) for i, t in enumerate(["User: hi", "AI: hello there", "and what else?", "Bot: well"])] + [(None, 0, None), (2, None, "System: x"), (1, 0, "User: hi")]
+    df = spark.createDataFrame(rows, "conv_id long, turn long, raw string")
+    a, b = ({(x["conv_id"], x["turn"], x["raw"]): x["role"] for x in chat.parse(df, m, chunk=c).collect()} for c in (256, 1))
+    assert a == b and len(a) == 6 and a[1, 0, "User: hi"] == "user" and a[1, 1, "AI: hello there"] == "assistant" and a[2, None, "System: x"] == "system"
+    assert chat.parse(df.limit(0), m).count() == 0
+
+
+# The pipeline
+
+
+def test_pipeline_stages(spark):
+    import corpus_pipeline
+
+    d = "/root/testdata/sf0.01"
+    docs = table(spark, d, "documents")
+    ids, columns = {r["doc_id"] for r in docs.collect()}, docs.columns
+    for k, (_, stage) in enumerate(corpus_pipeline.STAGES):
+        docs = stage(spark, docs, d).cache()
+        if k < len(corpus_pipeline.STAGES) - 1:
+            assert docs.columns == columns
+        now = {r["doc_id"] for r in docs.select("doc_id").collect()}
+        assert now <= ids and len(now) > 0.7 * len(ids)
+        ids = now
+    check_packing(docs.collect(), 2048)
