@@ -27,7 +27,7 @@ CYRILLIC_GIVEN = {"m": "Иван Пётр Олег Борис Павел".split(
 GREEK_GIVEN = {"m": "Νίκος Γιάννης Πέτρος Κώστας".split(), "f": "Μαρία Ελένη Άννα Σοφία".split(), "n": "Αλέξης Χάρις".split()}
 
 #: One pattern for all types; in alternatives of one place the first wins.
-EMAIL = r"[A-Za-z0-9._%+\-]+@[A-Za-z0-9\-]+(?:\.[A-Za-z0-9\-]+)+"
+EMAIL = r"(?<![A-Za-z0-9._%+\-])[A-Za-z0-9._%+\-]++@[A-Za-z0-9\-]+(?:\.[A-Za-z0-9\-]+)+"
 IP = r"(?<![\d.])(?:(?:25[0-5]|2[0-4]\d|1?\d?\d)\.){3}(?:25[0-5]|2[0-4]\d|1?\d?\d)(?![\d]|\.\d)"
 PHONE = r"(?<![\d\w])(?:\+\d{1,3}[ .\-]?)?\(\d{2,4}\)[ .\-]?\d{3,4}[ .\-]?\d{3,4}(?!\d)|(?<![\d\w])\+\d{1,3}(?:[ .\-]?\d{2,4}){2,5}(?!\d)|(?<![\d\w.\-])\d{3}[.\-]\d{3}[.\-]\d{4}(?![\d\w])"
 SSN = r"(?<![\d\w\-])\d{3}-\d{2}-\d{4}(?![\d\w\-])"
@@ -36,6 +36,8 @@ CARD = r"(?<![\w.\-])\d(?:[ \-]?\d){12,18}(?![\w\-])"
 SECRET = r"(?<![A-Za-z0-9])(?:(?=[a-f]*\d)(?=\d*[a-f])[0-9a-f]{32,64})(?![A-Za-z0-9])"
 _CAP = r"\p{Lu}[\p{L}'’\-]+"
 PERSON = rf"(?<!\p{{L}})(?:{'|'.join(TITLES.values())})\.? {_CAP}(?: {_CAP}){{0,2}}"
+#: What every entity has: a text without any of it needs no closer look.
+SIGN = rf"[0-9@]|(?:{'|'.join(TITLES.values())})\.? \p{{Lu}}"
 TYPES = {"email": EMAIL, "secret": SECRET, "ip": IP, "iban": IBAN, "phone": PHONE, "ssn": SSN, "card": CARD, "person": PERSON}
 PATTERN = "|".join(f"(?:{p})" for p in TYPES.values())
 MOST_ATTEMPTS = 20
@@ -148,8 +150,9 @@ def replace_personal(docs: DataFrame, key: str = "surrogates") -> DataFrame:
     entity are not moved. The key decides the surrogates: keep it secret and change it to break the link.
     """
     names = docs.columns
-    found = docs.withColumn("_e", F.expr(f"regexp_extract_all(text, {_sql(PATTERN)}, 0)"))
-    some = F.coalesce(F.size("_e"), F.lit(0)) > 0
+    signed = F.coalesce(F.expr(f"text rlike {_sql(SIGN)}"), F.lit(False))
+    found = saved(docs.where(signed).withColumn("_e", F.expr(f"regexp_extract_all(text, {_sql(PATTERN)}, 0)")), "signed")
+    some = F.size("_e") > 0
     # One row for each list of mentions: copies of a text share it.
     lists = saved(found.where(some).select("_e").distinct().withColumn("_k", F.sha2(F.array_join("_e", "\x1f"), 256)), "mentions")
     mentions = lists.select("_k", F.posexplode("_e").alias("i", "form")).withColumn("kind", entity_type(F.col("form")))
@@ -165,7 +168,7 @@ def replace_personal(docs: DataFrame, key: str = "surrogates") -> DataFrame:
     changed = hit.withColumn("text", text)
     if "n_chars" in names:
         changed = changed.withColumn("n_chars", F.length("text").cast(docs.schema["n_chars"].dataType))
-    return changed.select(*names).unionByName(found.where(~some).select(*names))
+    return changed.select(*names).unionByName(found.where(~some).select(*names)).unionByName(docs.where(~signed))
 
 
 def count_entities(docs: DataFrame) -> DataFrame:
