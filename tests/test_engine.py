@@ -79,7 +79,7 @@ QUERIES = {
     "distinct": pattern("?x presidentOf ?y").project("x").distinct(),
     "count": pattern("?x presidentOf ?y").group(("x",), n=("count",)),
     "count distinct": pattern("?x presidentOf ?y").group((), n=("count_distinct", "y")),
-    "count distinct of unfolded": pattern("?x presidentOf ?y").filter("strlen", Var("y")).group((), n=("count_distinct", "y")) if False else pattern("?x presidentOf ?y").bind("z", "lcase", Var("y")).group((), n=("count_distinct", "y")),
+    "count distinct of unfolded": pattern("?x presidentOf ?y").bind("z", "lcase", Var("y")).group((), n=("count_distinct", "y")),
     "optional with inner filter": pattern("?x presidentOf ?y").optional(pattern("?x = ?z").filter("contains", Var("x"), "Pres")),
     "minus with inner filter": pattern("?x presidentOf ?y").minus(pattern("?x presidentOf ?w").filter("contains", Var("x"), "Pres")).project("x"),
     "union of states": pattern("?x presidentOf ?y").project("x").union(pattern("?x presidentOf ?y").filter("contains", Var("x"), "Pres").project("x")),
