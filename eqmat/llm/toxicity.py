@@ -197,14 +197,17 @@ class ToxicityModel:
 def train(docs: DataFrame, labels: DataFrame, per_label: int = 1500) -> ToxicityModel:
     """Fit on about ``per_label`` documents of each label, picked by a hash of doc_id: a bounded sample.
 
-    docs(doc_id, text), labels(doc_id, toxic); rows with a null id, text or label teach nothing, and of several labels
-    for one document the highest counts."""
+    docs(doc_id, text), labels(doc_id, toxic); rows with a null id, text or label teach nothing, any toxic above 0 is
+    1, of several labels for one document the highest counts, of several texts the least.
+    The picked ids, about ``per_label`` for each of two labels whatever the size of the input, are broadcast, so that
+    docs are read once and only the picked texts move."""
     from eqmat.llm.language import balanced_sample
 
-    y = labels.where("doc_id is not null and toxic is not null").groupBy("doc_id").agg(F.max("toxic").alias("toxic"))
+    y = labels.where("doc_id is not null and toxic is not null").groupBy("doc_id").agg(F.max((F.col("toxic") > 0).cast("int")).alias("toxic"))
     picked = balanced_sample(y, "toxic", "doc_id", per_label).withColumnRenamed("doc_id", "id")
-    rows = docs.where("text is not null").select("doc_id", "text").join(picked, F.col("doc_id") == F.col("id")).select("text", "toxic").collect()
-    return ToxicityModel.fit([r["text"] for r in rows], [int(r["toxic"]) for r in rows])
+    rows = docs.where("text is not null").select("doc_id", "text").join(F.broadcast(picked), F.col("doc_id") == F.col("id"))
+    rows = rows.groupBy("id", "toxic").agg(F.min("text").alias("text")).collect()
+    return ToxicityModel.fit([r["text"] for r in rows], [r["toxic"] for r in rows])
 
 
 def score(docs: DataFrame, model: ToxicityModel) -> DataFrame:
