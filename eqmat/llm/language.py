@@ -158,10 +158,11 @@ def balanced_sample(rows: DataFrame, label: str, key: str, per_label: int, seed:
 def train(docs: DataFrame, docs_per_label: int = 250, windows_per_doc: int = 6, most_labels: int = 500, epochs: int = 10) -> ByteGRU:
     """Fit on a bounded sample of docs(doc_id, text, lang) with a lang: about ``docs_per_label`` documents of each
     language and ``windows_per_doc`` windows of each of them, wherever they stand in the text. Languages beyond the
-    ``most_labels`` with the most documents are not learned."""
+    ``most_labels`` with the most documents are not learned. Rows of one doc_id (repeated rows, null ids) are picked
+    together and teach one text, the least of each language."""
     known = docs.where("lang is not null and text is not null and length(text) > 0").select("doc_id", "text", "lang")
     common = [r[0] for r in known.groupBy("lang").count().orderBy(F.desc("count"), "lang").limit(most_labels).collect()]
-    picked = balanced_sample(known.where(F.col("lang").isin(common)), "lang", "doc_id", docs_per_label).select("doc_id", "text", "lang").collect() if common else []
+    picked = balanced_sample(known.where(F.col("lang").isin(common)), "lang", "doc_id", docs_per_label).groupBy("lang", "doc_id").agg(F.min("text").alias("text")).collect() if common else []
     rows = [(r["text"], r["lang"]) for r in sorted(picked, key=lambda r: (r["doc_id"] is None, r["doc_id"] or 0, r["text"]))]
     model = ByteGRU(sorted({lang for _, lang in rows}) or [NO_LANGUAGE])
     if rows and len(model.labels) > 1:
