@@ -3,20 +3,55 @@
 from __future__ import annotations
 
 from functools import reduce
+from itertools import combinations, permutations
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from eqmat.plans.rules import Atom, Rule, Var
+from eqmat.plans.rules import EQ_ID, Atom, Rule, Var
 
 INLINE = 8  # rules of one shape that are still planned one by one
 
 
 class Plan:
-    """One rule with literal constants, or a table of constants for all rules of a shape. ``label`` names it in counts."""
-
-    def __init__(self, label: str, head: Atom, body: tuple[Atom, ...], table: DataFrame | None = None):
-        self.label, self.head, self.body, self.table = label, head, body, table
+    """One rule with literal constants, or a table of constants for all rules of a shape. ``label`` names it in counts;
+    ``half``, of a keyed equality: the places of one half of its body."""
+
+    def __init__(self, label: str, head: Atom, body: tuple[Atom, ...], table: DataFrame | None = None, half: tuple[int, ...] | None = None):
+        self.label, self.head, self.body, self.table, self.half = label, head, body, table, half
+
+
+LONGEST_KEYED = 6  # atoms of a body that are searched for two equal halves
+
+
+def keyed_half(rule: Rule) -> tuple[int, ...] | None:
+    """Whether a rule makes equal all that agree on a key: ``x = y`` where the body is two copies of one pattern, one
+    about x and one about y, that share the variables of the key. Returns the places of the atoms about x, else None."""
+    x, y, n = rule.head.s, rule.head.o, len(rule.body)
+    if rule.head.p != EQ_ID or not isinstance(x, Var) or not isinstance(y, Var) or x == y or n % 2 or n > LONGEST_KEYED:
+        return None
+    for half in combinations(range(n), n // 2):
+        mine = {v for i in half for v in rule.body[i].variables}
+        rest = [i for i in range(n) if i not in half]
+        key = mine & {v for i in rest for v in rule.body[i].variables}
+        if key and x.name in mine - key and y.name not in mine and any(_renames(rule, half, other, key) for other in permutations(rest)):
+            return half
+    return None
+
+
+def _renames(rule: Rule, half, other, key: set[str]) -> bool:
+    """Whether one renaming that leaves the key alone takes the head's subject to its object and each atom of half to
+    that of other at the same place."""
+    to: dict[str, str] = {v: v for v in key}
+    pairs = [(rule.head.s, rule.head.o)]
+    for i, j in zip(half, other, strict=True):
+        pairs += zip(rule.body[i].terms, rule.body[j].terms, strict=True)
+    for a, b in pairs:
+        if isinstance(a, Var) != isinstance(b, Var) or (not isinstance(a, Var) and a != b):
+            return False
+        if isinstance(a, Var) and to.setdefault(a.name, b.name) != b.name:
+            return False
+    return len(set(to.values())) == len(to)
 
 
 def plans_of(spark: SparkSession, rules: list[Rule], inline: int = INLINE) -> list[Plan]:
@@ -26,7 +61,7 @@ def plans_of(spark: SparkSession, rules: list[Rule], inline: int = INLINE) -> li
     out = []
     for shape, own in shapes.items():
         if len(own) <= inline:
-            out += [Plan(r.name or repr(r.shape), r.head, r.body) for r in own]
+            out += [Plan(r.name or repr(r.shape), r.head, r.body, half=keyed_half(r)) for r in own]
             continue
         n = len(own[0].constants)
         slots = iter(range(n))
@@ -36,7 +71,8 @@ def plans_of(spark: SparkSession, rules: list[Rule], inline: int = INLINE) -> li
 
         head, *body = [atom(p) for p in shape]
         table = spark.createDataFrame([tuple(map(int, r.constants)) for r in own], ", ".join(f"v_c{i} long" for i in range(n)))
-        out.append(Plan(f"shape of {len(own)} rules", head, tuple(body), table))
+        halves = {keyed_half(r) for r in own}
+        out.append(Plan(f"shape of {len(own)} rules", head, tuple(body), table, halves.pop() if len(halves) == 1 else None))
     return out
 
 
@@ -73,14 +109,18 @@ def head_of(bindings: DataFrame, head: Atom) -> DataFrame:
     return bindings.select(*[(F.col(f"v_{t.name}") if isinstance(t, Var) else F.lit(int(t)).cast("long")).alias(c) for c, t in zip("spo", head.terms, strict=True)])
 
 
-def evaluate(plan: Plan, scans: list[DataFrame], pivot: int = 0) -> DataFrame:
-    """Head facts of every match of the body, one row for each; scans[i] is what body atom i may match."""
-    order = _order(plan.body, pivot, set())
-    bindings = plan.table
-    for i in order:
-        found = match_atom(scans[i], plan.body[i])
+def bind(body: tuple[Atom, ...], table: DataFrame | None, scans: list[DataFrame], pivot: int = 0) -> DataFrame:
+    """A row for every match of a body; scans[i] is what its atom i may match."""
+    bindings = table
+    for i in _order(body, pivot, set()):
+        found = match_atom(scans[i], body[i])
         bindings = found if bindings is None else _joined(bindings, found)
-    return head_of(bindings, plan.head)
+    return bindings
+
+
+def evaluate(plan: Plan, scans: list[DataFrame], pivot: int = 0) -> DataFrame:
+    """Head facts of every match of the body, one row for each."""
+    return head_of(bind(plan.body, plan.table, scans, pivot), plan.head)
 
 
 def fresh_matches(plan: Plan, facts: DataFrame) -> DataFrame:
@@ -94,6 +134,26 @@ def delta_matches(plan: Plan, facts: DataFrame, delta: DataFrame, older: DataFra
     return [evaluate(plan, [older if j < i else delta if j == i else facts for j in range(len(plan.body))], i) for i in range(len(plan.body))]
 
 
+def key_edges(plan: Plan, facts: DataFrame, delta: DataFrame | None = None, older: DataFrame | None = None) -> DataFrame:
+    """Equalities of a keyed rule: each resource with the least that has its key, n - 1 edges where the rule's own matches
+    are n * n. They connect the same resources. ``delta``: only keys that have a match with a new fact count.
+
+    Keys are met by partial minima and a join with one row a key, so that a key of very many rows is not gathered."""
+    body = tuple(plan.body[i] for i in plan.half)
+    own = {v for a in body for v in a.variables}
+    table = plan.table
+    if table is not None:
+        table = table.select([c for c in table.columns if c[2:] in own]).distinct()
+    key = sorted(f"v_{v}" for v in own if any(v in plan.body[i].variables for i in range(len(plan.body)) if i not in plan.half) or (table is not None and f"v_{v}" in table.columns))
+    x, m = f"v_{plan.head.s.name}", len(body)
+    found = bind(body, table, [facts] * m).select(*key, x).distinct()
+    if delta is not None:
+        new = [bind(body, table, [older if j < i else delta if j == i else facts for j in range(m)], i).select(*key) for i in range(m)]
+        found = found.join(reduce(DataFrame.unionByName, new).distinct(), key, "left_semi")
+    least = found.groupBy(*key).agg(F.min(x).alias("least"))
+    return found.join(least, key).where(F.col(x) != F.col("least")).select(F.col(x).alias("s"), F.lit(EQ_ID).cast("long").alias("p"), F.col("least").alias("o")).distinct()
+
+
 def rule_applications(plans: list[Plan], delta: DataFrame, facts: DataFrame, fresh: set[str]) -> DataFrame | None:
     """(label, n): how often an atom of a rule meets a fact, before the rest of the body is looked at. A fresh rule meets
     all facts with its first atom."""

@@ -32,6 +32,7 @@ class Options:
     components: str = "driver"  # union-find for few edges, contraction of the edge table beyond
     rewrite_rules: bool = True
     merge: bool = True
+    by_key: bool = True  # while merging: n - 1 equalities for n resources with one key, not n * n
     on_contradiction: str = "report"  # or "raise"
     most_rounds: int = 1000
     inline: int = matcher.INLINE
@@ -74,12 +75,17 @@ def contradictions(facts: DataFrame, neq: int = NEQ_ID) -> DataFrame:
     return facts.where((F.col("p") == neq) & (F.col("s") == F.col("o"))).select(*KEYS)
 
 
-def _heads(plans, fresh: set[str], facts: DataFrame, delta: DataFrame, older: DataFrame) -> DataFrame | None:
-    """Derived facts with the label of their rule and n, the number of derivations."""
+def _heads(plans, fresh: set[str], facts: DataFrame, delta: DataFrame, older: DataFrame | None, by_key: bool) -> DataFrame | None:
+    """Derived facts with the label of their rule and n, the number of derivations. No older facts: all are new, and
+    every rule meets all of them once. ``by_key``: keyed equalities give edges to the least of a key, not pairs."""
     parts = []
     for p in plans:
-        for found in [matcher.fresh_matches(p, facts)] if p.label in fresh else matcher.delta_matches(p, facts, delta, older):
-            parts.append(found.select(F.lit(p.label).alias("rule"), *KEYS))
+        whole = older is None or p.label in fresh
+        if by_key and p.half is not None:
+            found = [matcher.key_edges(p, facts) if whole else matcher.key_edges(p, facts, delta, older)]
+        else:
+            found = [matcher.fresh_matches(p, facts)] if whole else matcher.delta_matches(p, facts, delta, older)
+        parts += [x.select(F.lit(p.label).alias("rule"), *KEYS) for x in found]
     return reduce(DataFrame.unionByName, parts).groupBy("rule", *KEYS).agg(F.count("*").alias("n")) if parts else None
 
 
@@ -159,10 +165,10 @@ def _run(spark: SparkSession, facts: DataFrame, rules: list[Rule], opts: Options
             p.label = f"{p.label} (rewritten in round {k})"
         fresh = {p.label for p in new_plans}
         seen = live if opts.reflexive == "stored" or not opts.merge or not eq_in_bodies else live.unionByName(reflexive_facts(live).withColumn("born", F.lit(k))).dropDuplicates(KEYS)
-        older = live.where(F.col("born") < k)
+        older = live.where(F.col("born") < k) if k else None
         if opts.measure and (counted := matcher.rule_applications(plans + new_plans, delta, seen, fresh)) is not None:
             row["rule_applications"] = counted.agg(F.sum("n")).first()[0] or 0
-        heads = _heads(plans + new_plans, fresh, seen, delta, older)
+        heads = _heads(plans + new_plans, fresh, seen, delta, older, opts.merge and opts.by_key)
         candidates = []
         if heads is not None:
             heads = saved(heads, "heads")
