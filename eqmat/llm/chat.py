@@ -38,18 +38,22 @@ def _marker_pattern(role: str) -> str:
 
 
 def symbols(raw: Column) -> Column:
-    """What is seen of each line of a text that begins after a blank line: an array of numbers below SYMBOLS."""
+    """What is seen of each line of a text that follows an empty line: an array of numbers below SYMBOLS. A line has a
+    blank line before it if the line that precedes it is blank; blank lines themselves count as having none, for they
+    begin no turn, but for the first line of a text that is blank altogether."""
     lines = F.split(raw, "\n", -1)
+    blank = lambda c: F.regexp_like(c, F.lit(r"^\s*$"))
 
-    def one(line: Column, i: Column) -> Column:
+    def one(line: Column, before: Column) -> Column:
         marker = F.lit(0)
         for k, role in enumerate(ROLES):
             marker = F.when(F.regexp_like(line, F.lit(_marker_pattern(role))), F.lit(k + 1)).otherwise(marker)
         n = F.length(line)
         size = F.when(n < 40, 0).when(n < 200, 1).otherwise(2)
-        return (marker * 6 + F.when(i == 0, 3).otherwise(0) + size).cast("int")
+        return (marker * 6 + F.when(blank(before) & ~blank(line), 3).otherwise(0) + size).cast("int")
 
-    return F.transform(lines, one)
+    seen = F.slice(F.zip_with(lines, F.concat(F.array(F.lit("")), lines), one), 1, F.size(lines))
+    return F.when(blank(raw), F.transform(lines, lambda _, i: F.when(i == 0, 3).otherwise(0).cast("int"))).otherwise(seen)
 
 
 def stripped(raw: Column) -> Column:
@@ -120,12 +124,15 @@ class SpeakerModel:
 
 
 def train(transcript: DataFrame) -> SpeakerModel:
-    """Count the symbols of lines of transcript(role, raw) in each state; 144 numbers come to the driver."""
+    """Count the symbols of lines of transcript(role, raw) in each state; 144 numbers come to the driver. Each state has
+    half a line a symbol beforehand, spread as before any training, so that a few lines do not blur the markers."""
     rows = transcript.where(F.col("role").isin(*ROLES)).select("role", F.posexplode(symbols(F.col("raw"))).alias("i", "o"))
-    counts = np.full((STATES, SYMBOLS), 0.5)
+    counts = 0.5 * SYMBOLS * np.exp(SpeakerModel().emit)
     for r in rows.groupBy("role", (F.col("i") > 0).alias("later"), "o").agg(F.count("*").alias("n")).collect():
         role = ROLES.index(r["role"])
         counts[2 * role + int(r["later"]), r["o"]] += r["n"]
+        if not r["later"] and r["o"] >= 6 and r["o"] // 3 % 2:  # people also paste a marked turn right after the line before
+            counts[2 * role, r["o"] - 3] += r["n"]
     # The marker of a form with its own line is seen at its first line only; nothing else begins a turn.
     return SpeakerModel(counts)
 
@@ -160,21 +167,36 @@ def _ends(batches):
         yield pa.RecordBatch.from_arrays([pa.array([conv] * len(rows), pa.string()), pa.array([r[1] for r in rows], pa.int64()), pa.array([-1, *exits[:-1]], pa.int32()), pa.array(exits, pa.int32())], names=["conv", "chunk", "entry", "exit"])
 
 
+def _turns(raw: str, states: list[int]) -> list[tuple[str, int]]:
+    """The lines of raw cut where a state begins a turn: text and first state of each part. Blank lines that stand
+    before the first other line of a part are no part of their own. The texts joined by line ends give raw."""
+    parts: list[tuple[list[str], int]] = []
+    for line, state in zip(raw.split("\n"), states, strict=True):
+        if parts and state % 2:
+            parts[-1][0].append(line)
+        elif parts and not "".join(parts[-1][0]).strip(" \t\n\x0b\f\r"):
+            parts[-1] = ([*parts[-1][0], line], state)
+        else:
+            parts.append(([line], state))
+    return [("\n".join(lines), state) for lines, state in parts]
+
+
 def _decode(model: SpeakerModel):
     def run(batches):
         for (conv, chunk, entry, exit_), rows in _by_chunk(batches, 4):
             states = iter(model.path([o for r in rows for o in r[-1]], entry, exit_))
-            out = [[next(states) for _ in r[-1]] for r in rows]
-            roles = [ROLES[s[0] // 2] for s in out]
-            yield pa.RecordBatch.from_arrays([pa.array([conv] * len(rows), pa.string()), pa.array([r[4] for r in rows], pa.int64()), pa.array([r[5] for r in rows], pa.int64()), pa.array([r[6] for r in rows], pa.string()), pa.array(roles, pa.string()), pa.array([s[0] % 2 == 0 for s in out], pa.bool_())], names=["conv", "turn_no", "place", "raw", "role", "begins"])
+            out = [(r, k, text, s) for r in rows for k, (text, s) in enumerate(_turns(r[6], [next(states) for _ in r[-1]]))]
+            yield pa.RecordBatch.from_arrays([pa.array([conv] * len(out), pa.string()), pa.array([o[0][4] for o in out], pa.int64()), pa.array([o[1] for o in out], pa.int32()), pa.array([o[2] for o in out], pa.string()), pa.array([ROLES[o[3] // 2] for o in out], pa.string()), pa.array([o[3] % 2 == 0 for o in out], pa.bool_())], names=["conv", "turn_no", "part", "raw", "role", "begins"])
 
     return run
 
 
 def parse(transcript: DataFrame, model: SpeakerModel, chunk: int = CHUNK) -> DataFrame:
-    """transcript(conv_id, turn, raw) -> conv_id, turn, raw, role, begins (whether the block opens a turn).
+    """transcript(conv_id, turn, raw) -> conv_id, turn, part, raw, role, begins (whether the part opens a turn).
 
-    Blocks stand in order of turn (null first), then of a hash of their text; equal rows are one block. A null raw is
+    The text of a conversation is its blocks with an empty line between them. It is read line by line, and a turn is cut
+    where the decoded state begins one, wherever in a block that is: a block comes out as one row for each turn in it,
+    numbered by part from 0; its first part goes on with the turn before if begins is false. Blocks stand in order of turn (null first), then of a hash of their text; equal rows are one block. A null raw is
     empty. An empty table gives no rows.
     """
     kinds = {f.name: f.dataType for f in transcript.schema}
@@ -188,19 +210,20 @@ def parse(transcript: DataFrame, model: SpeakerModel, chunk: int = CHUNK) -> Dat
     tables = marked.repartition(parts, "conv", "chunk").sortWithinPartitions(*order).select("conv", "chunk", "first", "seen").mapInArrow(_tables(model), "conv string, chunk long, table array<double>")
     ends = saved(tables.repartition(parts, "conv").sortWithinPartitions("conv", "chunk").mapInArrow(_ends, "conv string, chunk long, entry int, exit int"), "ends")
     ready = blocks.join(ends, ["conv", "chunk"]).repartition(parts, "conv", "chunk").sortWithinPartitions(*order)
-    out = ready.select("conv", "chunk", "entry", "exit", "turn_no", "place", "raw", "seen").mapInArrow(_decode(model), "conv string, turn_no long, place long, raw string, role string, begins boolean")
-    return out.select(F.when(F.col("conv") != "\x00", F.col("conv")).cast(kinds["conv_id"]).alias("conv_id"), F.when(F.col("turn_no") != -(1 << 62), F.col("turn_no")).cast(kinds["turn"]).alias("turn"), "raw", "role", "begins")
+    out = ready.select("conv", "chunk", "entry", "exit", "turn_no", "place", "raw", "seen").mapInArrow(_decode(model), "conv string, turn_no long, part int, raw string, role string, begins boolean")
+    return out.select(F.when(F.col("conv") != "\x00", F.col("conv")).cast(kinds["conv_id"]).alias("conv_id"), F.when(F.col("turn_no") != -(1 << 62), F.col("turn_no")).cast(kinds["turn"]).alias("turn"), "part", "raw", "role", "begins")
 
 
 def rendered(role: Column, raw: Column, begins: Column) -> Column:
-    """The canonical form of a block: its role in a fixed frame, its text without the marker; a block that goes on with
-    a turn has no opening."""
+    """The canonical form of a part: its role in a fixed frame, its text without the marker; a part that goes on with a
+    turn has no opening."""
     return F.concat(F.when(begins, F.concat(F.lit("<|im_start|>"), role, F.lit("\n"))).otherwise(F.lit("")), stripped(raw), F.lit("<|im_end|>\n"))
 
 
 def format_conversations(conversations: DataFrame) -> DataFrame:
-    """conversations(conv_id, turn, role, text) -> conv_id, turn, role (recovered), rendered: written as transcripts,
-    parsed without their roles, and rendered."""
+    """conversations(conv_id, turn, role, text) -> conv_id, turn, part, role (recovered), rendered: written as
+    transcripts, parsed without their roles, and rendered, one row for each turn that is found. Turns found in one text
+    have the turn of its row and are numbered by part."""
     transcript = saved(as_transcript(conversations), "transcript")
     parsed = parse(transcript.select("conv_id", "turn", "raw"), train(transcript))
-    return parsed.select("conv_id", "turn", "role", rendered(F.col("role"), F.col("raw"), F.col("begins")).alias("rendered"))
+    return parsed.select("conv_id", "turn", "part", "role", rendered(F.col("role"), F.col("raw"), F.col("begins")).alias("rendered"))

@@ -402,6 +402,28 @@ def test_chunks_give_the_best_path(spark):
     assert chat.parse(df.limit(0), m).count() == 0
 
 
+def test_turns_inside_one_text_are_found(spark):
+    conv = table(spark, "/root/testdata/sf0.01", "conversations")
+    model = chat.train(chat.as_transcript(conv))
+    texts = ["User: hi\nmore of it\nBot: hello\n\n\nUser: and now?\n### Assistant:\nwell\nyes", "\n\n[System] be kind\n\nA: I am", "  ", "User: a\n\nplain words"]
+    df = spark.createDataFrame([(i, 0, t) for i, t in enumerate(texts)], "conv_id long, turn long, raw string")
+    for m in (model, chat.SpeakerModel()):
+        got = {i: sorted((r["part"], r["raw"], r["role"], r["begins"]) for r in rows) for i, rows in _by(chat.parse(df, m).collect(), "conv_id").items()}
+        assert all("\n".join(p[1] for p in got[i]) == t for i, t in enumerate(texts))
+        if m is model:
+            assert [p[1:] for p in got[0]] == [("User: hi\nmore of it", "user", True), ("Bot: hello\n\n", "assistant", True), ("User: and now?", "user", True), ("### Assistant:\nwell\nyes", "assistant", True)]
+            assert [p[2] for p in got[1]] == ["system", "assistant"] and len(got[2]) == 1
+    seen = df.select("conv_id", chat.symbols(F.col("raw")).alias("s")).orderBy("conv_id").collect()
+    assert [o // 3 % 2 for o in seen[0]["s"]] == [1, 0, 0, 0, 0, 1, 0, 0, 0] and [o // 3 % 2 for o in seen[3]["s"]] == [1, 0, 1]
+
+
+def _by(rows, key):
+    out = {}
+    for r in rows:
+        out.setdefault(r[key], []).append(r)
+    return out
+
+
 # The pipeline
 
 
