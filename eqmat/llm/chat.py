@@ -186,7 +186,7 @@ def _decode(model: SpeakerModel):
         for (conv, chunk, entry, exit_), rows in _by_chunk(batches, 4):
             states = iter(model.path([o for r in rows for o in r[-1]], entry, exit_))
             out = [(r, k, text, s) for r in rows for k, (text, s) in enumerate(_turns(r[6], [next(states) for _ in r[-1]]))]
-            yield pa.RecordBatch.from_arrays([pa.array([conv] * len(out), pa.string()), pa.array([o[0][4] for o in out], pa.int64()), pa.array([o[1] for o in out], pa.int32()), pa.array([o[2] for o in out], pa.string()), pa.array([ROLES[o[3] // 2] for o in out], pa.string()), pa.array([o[3] % 2 == 0 for o in out], pa.bool_())], names=["conv", "turn_no", "part", "raw", "role", "begins"])
+            yield pa.RecordBatch.from_arrays([pa.array([conv] * len(out), pa.string()), pa.array([o[0][4] for o in out], pa.int64()), pa.array([o[1] for o in out], pa.int32()), pa.array([o[2] for o in out], pa.string()), pa.array([ROLES[o[3] // 2] for o in out], pa.string()), pa.array([o[3] % 2 == 0 for o in out], pa.bool_()), pa.array([o[0][7] for o in out], pa.int64())], names=["conv", "turn_no", "part", "raw", "role", "begins", "copies"])
 
     return run
 
@@ -196,11 +196,12 @@ def parse(transcript: DataFrame, model: SpeakerModel, chunk: int = CHUNK) -> Dat
 
     The text of a conversation is its blocks with an empty line between them. It is read line by line, and a turn is cut
     where the decoded state begins one, wherever in a block that is: a block comes out as one row for each turn in it,
-    numbered by part from 0; its first part goes on with the turn before if begins is false. Blocks stand in order of turn (null first), then of a hash of their text; equal rows are one block. A null raw is
-    empty. An empty table gives no rows.
+    numbered by part from 0; its first part goes on with the turn before if begins is false. Blocks stand in order of turn (null first), then of a hash of their text. Equal rows are decoded as one block and
+    come out as often as they came in; rows without a conv_id are read as one conversation. A null raw is empty. An
+    empty table gives no rows.
     """
     kinds = {f.name: f.dataType for f in transcript.schema}
-    blocks = transcript.select(F.coalesce(F.col("conv_id").cast("string"), F.lit("\x00")).alias("conv"), F.coalesce(F.col("turn").cast("long"), F.lit(-(1 << 62))).alias("turn_no"), F.coalesce("raw", F.lit("")).alias("raw")).distinct()
+    blocks = transcript.select(F.coalesce(F.col("conv_id").cast("string"), F.lit("\x00")).alias("conv"), F.coalesce(F.col("turn").cast("long"), F.lit(-(1 << 62))).alias("turn_no"), F.coalesce("raw", F.lit("")).alias("raw")).groupBy("conv", "turn_no", "raw").agg(F.count("*").alias("copies"))
     blocks = blocks.withColumn("place", F.xxhash64("raw")).withColumn("chunk", F.floor(F.col("turn_no") / chunk)).withColumn("seen", symbols(F.col("raw")))
     blocks = saved(blocks, "blocks")
     firsts = blocks.groupBy("conv").agg(F.min("chunk").alias("lowest"))
@@ -210,7 +211,8 @@ def parse(transcript: DataFrame, model: SpeakerModel, chunk: int = CHUNK) -> Dat
     tables = marked.repartition(parts, "conv", "chunk").sortWithinPartitions(*order).select("conv", "chunk", "first", "seen").mapInArrow(_tables(model), "conv string, chunk long, table array<double>")
     ends = saved(tables.repartition(parts, "conv").sortWithinPartitions("conv", "chunk").mapInArrow(_ends, "conv string, chunk long, entry int, exit int"), "ends")
     ready = blocks.join(ends, ["conv", "chunk"]).repartition(parts, "conv", "chunk").sortWithinPartitions(*order)
-    out = ready.select("conv", "chunk", "entry", "exit", "turn_no", "place", "raw", "seen").mapInArrow(_decode(model), "conv string, turn_no long, part int, raw string, role string, begins boolean")
+    out = ready.select("conv", "chunk", "entry", "exit", "turn_no", "place", "raw", "copies", "seen").mapInArrow(_decode(model), "conv string, turn_no long, part int, raw string, role string, begins boolean, copies long")
+    out = out.withColumn("copy", F.explode(F.sequence(F.lit(1), F.col("copies"))))
     return out.select(F.when(F.col("conv") != "\x00", F.col("conv")).cast(kinds["conv_id"]).alias("conv_id"), F.when(F.col("turn_no") != -(1 << 62), F.col("turn_no")).cast(kinds["turn"]).alias("turn"), "part", "raw", "role", "begins")
 
 

@@ -417,6 +417,15 @@ def test_turns_inside_one_text_are_found(spark):
     assert [o // 3 % 2 for o in seen[0]["s"]] == [1, 0, 0, 0, 0, 1, 0, 0, 0] and [o // 3 % 2 for o in seen[3]["s"]] == [1, 0, 1]
 
 
+def test_equal_rows_of_transcripts_are_kept(spark):
+    rows = [(1, 0, "user", "hi")] * 3 + [(None, 1, None, "ok")] * 4 + [(None, 1, "user", "ok"), (2, None, None, None), (2, None, None, None)]
+    conv = spark.createDataFrame(rows, "conv_id long, turn long, role string, text string")
+    got = Counter((r["conv_id"], r["turn"]) for r in chat.format_conversations(conv).collect())
+    assert got == {(1, 0): 3, (None, 1): 5, (2, None): 2}
+    raw = spark.createDataFrame([(1, 0, "User: a\n\nBot: b")] * 2, "conv_id long, turn long, raw string")
+    assert sorted((r["part"], r["role"]) for r in chat.parse(raw, chat.SpeakerModel()).collect()) == [(0, "user")] * 2 + [(1, "assistant")] * 2
+
+
 def _by(rows, key):
     out = {}
     for r in rows:
