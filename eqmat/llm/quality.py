@@ -13,7 +13,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from eqmat.storage import saved
+from eqmat.storage import keyed, saved
 
 WORD = r"[^\\x20\\x09-\\x0D]+"
 DIMS = ("x1", "x2", "x3", "x4")
@@ -152,7 +152,7 @@ def assess(docs: DataFrame) -> DataFrame:
 
 
 def keep_sound(docs: DataFrame) -> DataFrame:
-    """The rows of docs that assess() keeps, with their columns. The verdict of a document id holds for all its rows: it
-    stays if any of them does."""
-    ids = assess(docs).where("kept").select(F.col("doc_id").alias("kept_id")).distinct()
-    return docs.join(ids, docs.doc_id.cast("long").eqNullSafe(F.col("kept_id")), "left_semi")
+    """The rows of docs that assess() keeps, with their columns. Each row has a verdict of its own, whatever its id."""
+    rows, key = keyed(docs, "keyed")
+    kept = assess(rows.select(F.col(key).alias("doc_id"), "text", "lang", "source")).where("kept").select(F.col("doc_id").alias(key))
+    return rows.join(kept, key, "left_semi").select(*docs.columns)

@@ -19,7 +19,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from eqmat.components import connected_components
-from eqmat.storage import saved
+from eqmat.storage import keyed, saved
 
 SEED, SHINGLE, MOST_BITS = 42, 3, 3
 FAN, MOST_GROUP, MOST_FRONTIER = 8, 4096, 2_000_000
@@ -151,15 +151,16 @@ class GrayIndex:
 def _fingerprint_rows(size: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(fingerprints(b.column(1).to_pylist(), size).view(np.int64))], names=["doc_id", "fp"])
+            yield pa.RecordBatch.from_arrays([*b.columns[:-1], pa.array(fingerprints(b.columns[-1].to_pylist(), size).view(np.int64))], names=[*b.schema.names[:-1], "fp"])
 
     return run
 
 
-def document_fingerprints(docs: DataFrame, size: int = SHINGLE) -> DataFrame:
-    """doc_id, fp (the 64 bits as a signed long). A null text has no words."""
-    narrow = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
-    return narrow.mapInArrow(_fingerprint_rows(size), "doc_id long, fp long")
+def document_fingerprints(docs: DataFrame, size: int = SHINGLE, *also: str) -> DataFrame:
+    """doc_id, the long columns in also, fp (the 64 bits as a signed long). A null text has no words."""
+    ids = ["doc_id", *also]
+    narrow = docs.select(*[F.col(c).cast("long").alias(c) for c in ids], F.col("text").cast("string").alias("text"))
+    return narrow.mapInArrow(_fingerprint_rows(size), ", ".join(f"{c} long" for c in [*ids, "fp"]))
 
 
 def _stars(most: int):
@@ -226,7 +227,13 @@ def near_duplicates(docs: DataFrame, size: int = SHINGLE, most: int = MOST_BITS)
 
 
 def keep_one(docs: DataFrame, size: int = SHINGLE, most: int = MOST_BITS) -> DataFrame:
-    """The rows of docs whose doc_id names their component, one for each id, with all their columns."""
-    of = near_duplicates(docs.select("doc_id", "text"), size, most)
-    ids = of.where(F.col("doc_id").eqNullSafe(F.col("component_id"))).select(F.col("doc_id").alias("kept_id")).distinct()
-    return docs.join(ids, docs.doc_id.eqNullSafe(ids.kept_id), "left_semi").dropDuplicates(["doc_id"])
+    """One row of docs for each component, with all its columns: that of the smallest doc_id, of several with it any
+    one; null ids come last. Rows are told apart by a key of their own, so texts that differ stay whatever their ids."""
+    rows, key = keyed(docs, "keyed")
+    prints = saved(document_fingerprints(rows, size, key), "fingerprints")
+    first = F.min(F.struct(F.col("doc_id").isNull().alias("unnamed"), "doc_id", key)).alias("first")
+    least = saved(prints.groupBy("fp").agg(first), "prints")
+    comps = fingerprint_components(least.select("fp"), most)
+    named = least.join(comps, least.fp == comps.node, "left").select(F.coalesce("comp", "fp").alias("comp"), "first")
+    kept = named.groupBy("comp").agg(F.min("first").alias("first")).select(F.col(f"first.{key}").alias(key))
+    return rows.join(kept, key, "left_semi").select(*docs.columns)

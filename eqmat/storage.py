@@ -6,6 +6,7 @@ import tempfile
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 _LOCAL: dict[str, str] = {}
 
@@ -33,3 +34,11 @@ def saved(df: DataFrame, tag: str, partition_by: list[str] | None = None) -> Dat
     writer = df.write.mode("overwrite")
     (writer.partitionBy(*partition_by) if partition_by else writer).parquet(path)
     return spark.read.schema(df.schema).parquet(path)
+
+
+def keyed(df: DataFrame, tag: str) -> tuple[DataFrame, str]:
+    """df saved with a key of each row, which stays the same however often it is read, and the name of its column."""
+    name = "row_key"
+    while name in map(str.lower, df.columns):
+        name += "_"
+    return saved(df.withColumn(name, F.monotonically_increasing_id()), tag), name

@@ -181,6 +181,15 @@ def test_dense_cluster_in_the_index(monkeypatch):
     assert len(set(simhash.GrayIndex(np.zeros(len(prints), np.int64), prints).connect(3))) == 1
 
 
+def test_one_row_of_each_component_is_kept_whatever_its_id(spark):
+    a, b, c, d = (" ".join(noise(60, k, "abcdefgh")) for k in (1, 2, 3, 4))
+    rows = [(None, a, 1), (None, a, 2), (None, b, 3), (7, c, 4), (7, d, 5), (5, d, 6), (None, d, 7)]
+    kept = simhash.keep_one(spark.createDataFrame(rows, "doc_id long, text string, row_key long").repartition(3))
+    got = kept.collect()
+    assert kept.columns == ["doc_id", "text", "row_key"] and len(got) == 4
+    assert {(r["doc_id"], r["text"]) for r in got} == {(None, a), (None, b), (7, c), (5, d)}
+
+
 # 8: vectors
 
 
@@ -236,6 +245,15 @@ def test_symbols_count_twice_for_astral_characters(spark):
     assert (r["n_words"], r["word_chars"]) == (4, 4)
 
 
+def test_each_row_has_a_verdict_of_its_own(spark):
+    docs = table(spark, SF, "documents").where("length(text) > 0")
+    ids = {r["doc_id"] for r in quality.assess(docs).where("kept").collect()}
+    texts = Counter(r["text"] for r in docs.collect() if r["doc_id"] in ids)
+    for blank in (F.lit(None).cast("long"), F.lit(3).cast("long")):
+        assert Counter(r["text"] for r in quality.keep_sound(docs.withColumn("doc_id", blank)).collect()) == texts
+    assert 0 < texts.total() < docs.count()
+
+
 # 5: language
 
 
