@@ -14,7 +14,11 @@ from pyspark.sql import functions as F
 from eqmat.storage import saved
 
 #: Titles by the gender they tell, and given and family names by script to choose surrogates from.
-TITLES = {"m": "Mr|Herr|Señor|Monsieur|Sir", "f": "Mrs|Ms|Miss|Frau|Señora|Madame|Mme", "n": "Dr|Prof"}
+TITLES = {
+    "m": "Mr|Herr|Señor|Monsieur|Sir|[Гг]осподин|[Гг]-н|[Κκ]ύριος|[Κκ]ύριο|[Κκ]ύριε|κ",
+    "f": "Mrs|Ms|Miss|Frau|Señora|Madame|Mme|[Гг]оспожа|[Гг]-жа|[Κκ]υρία|[Κκ]α",
+    "n": "Dr|Prof|[Дд]октор|[Дд]-р|[Пп]рофессор|[Пп]роф|[Δδ]ρ|[Κκ]αθηγητής|[Κκ]αθηγήτρια",
+}
 GIVEN = {
     "m": "Adam Bruno Carl David Emil Felix Gustav Hugo Ivan Jonas Karl Leon Martin Nils Oscar Paul Robin Simon Tomas Viktor".split(),
     "f": "Anna Berta Clara Diana Elena Flora Greta Helena Ida Julia Karla Lena Maria Nora Olga Paula Rosa Sara Tina Vera".split(),
@@ -33,12 +37,21 @@ PHONE = r"(?<![\d\w])(?:\+\d{1,3}[ .\-]?)?\(\d{2,4}\)[ .\-]?\d{3,4}[ .\-]?\d{3,4
 SSN = r"(?<![\d\w\-])\d{3}-\d{2}-\d{4}(?![\d\w\-])"
 IBAN = r"(?<![A-Za-z0-9])[A-Z]{2}\d{2}(?: ?[A-Z0-9]{4}){2,7}(?: ?[A-Z0-9]{1,3})?(?![A-Za-z0-9])"
 CARD = r"(?<![\w.\-])\d(?:[ \-]?\d){12,18}(?![\w\-])"
-SECRET = r"(?<![A-Za-z0-9])(?:(?=[a-f]*\d)(?=\d*[a-f])[0-9a-f]{32,64})(?![A-Za-z0-9])"
+SECRET = r"(?<![A-Za-z0-9])(?:(?=[a-f]*\d)(?=\d*[a-f])[0-9a-f]{32,128}|(?=[A-F]*\d)(?=\d*[A-F])[0-9A-F]{32,128})(?![A-Za-z0-9])"
+#: Tokens in which letter case counts: of three parts (JWT), with a known prefix, long and of mixed case, the body of a
+#: private key, and a value with a letter and a digit that is assigned to a name like token, key or password.
+TOKEN = "|".join([
+    r"(?<![A-Za-z0-9_\-])eyJ[A-Za-z0-9_\-]{8,}+\.[A-Za-z0-9_\-]{8,}+\.[A-Za-z0-9_\-]{8,}+",
+    r"(?<![A-Za-z0-9])(?:(?:sk|pk|rk|gh[oprsu]|github_pat|glpat|xox[abeprs]|hf|npm)[_\-](?=[A-Za-z_\-]*\d)[A-Za-z0-9_\-]{16,}+|A[KS]IA[A-Z0-9]{16}(?![A-Za-z0-9])|AIza[A-Za-z0-9_\-]{35})",
+    r"(?<![A-Za-z0-9])(?=[A-Za-z]*\d)(?=[a-z0-9]*[A-Z])(?=[A-Z0-9]*[a-z])[A-Za-z0-9]{32,}+={0,2}",
+    r"(?<=PRIVATE KEY-----)[A-Za-z0-9+/=\s]{16,}+(?=-----END)",
+    r"(?<=[=:\s\"'])(?=[A-Za-z+/_.~!#$%^&*\-]{0,80}\d)(?=[^A-Za-z\s]{0,80}[A-Za-z])(?<=(?i:token|secret|passw(?:or)?d|pwd|key)[\"']?\s{0,2}[=:]\s{0,2}[\"']?)[A-Za-z0-9+/_.~!#$%^&*\-]{8,}+={0,2}",
+])
 _CAP = r"\p{Lu}[\p{L}'’\-]+"
 PERSON = rf"(?<!\p{{L}})(?:{'|'.join(TITLES.values())})\.? {_CAP}(?: {_CAP}){{0,2}}"
 #: What every entity has: a text without any of it needs no closer look.
-SIGN = rf"[0-9@]|(?:{'|'.join(TITLES.values())})\.? \p{{Lu}}"
-TYPES = {"email": EMAIL, "secret": SECRET, "ip": IP, "iban": IBAN, "phone": PHONE, "ssn": SSN, "card": CARD, "person": PERSON}
+SIGN = rf"[0-9@]|PRIVATE KEY-----|(?:{'|'.join(TITLES.values())})\.? \p{{Lu}}"
+TYPES = {"email": EMAIL, "secret": SECRET, "ip": IP, "iban": IBAN, "phone": PHONE, "ssn": SSN, "card": CARD, "token": TOKEN, "person": PERSON}
 PATTERN = "|".join(f"(?:{p})" for p in TYPES.values())
 MOST_ATTEMPTS = 20
 
@@ -65,7 +78,7 @@ def _normal(kind: Column, e: Column) -> Column:
 def _gender(e: Column) -> Column:
     out = F.lit("n")
     for g in ("f", "m"):
-        out = F.when(F.regexp_like(e, F.lit(rf"^(?:{TITLES[g]})\b")), F.lit(g)).otherwise(out)
+        out = F.when(F.regexp_like(e, F.lit(rf"^(?:{TITLES[g]})(?!\p{{L}})")), F.lit(g)).otherwise(out)
     return out
 
 
