@@ -158,7 +158,8 @@ def balanced_sample(rows: DataFrame, label: str, key: str, per_label: int, seed:
 def train(docs: DataFrame, docs_per_label: int = 250, windows_per_doc: int = 6, most_labels: int = 500, epochs: int = 10) -> ByteGRU:
     """Fit on a bounded sample of docs(doc_id, text, lang) with a lang: about ``docs_per_label`` documents of each
     language and ``windows_per_doc`` windows of each of them, wherever they stand in the text. Languages beyond the
-    ``most_labels`` with the most documents are not learned. Rows of one doc_id (repeated rows, null ids) are picked
+    ``most_labels`` with the most documents are not learned, so predict() never gives them; keep_known() keeps their
+    rows. Rows of one doc_id (repeated rows, null ids) are picked
     together and teach one text, the least of each language."""
     known = docs.where("lang is not null and text is not null and length(text) > 0").select("doc_id", "text", "lang")
     common = [r[0] for r in known.groupBy("lang").count().orderBy(F.desc("count"), "lang").limit(most_labels).collect()]
@@ -198,6 +199,15 @@ def predict(docs: DataFrame, model: ByteGRU) -> DataFrame:
 
 
 def keep_known(docs: DataFrame, model: ByteGRU, least: float = 0.3) -> DataFrame:
-    """The rows of docs whose text has a language that the model gives at least ``least``; columns as they were."""
+    """The rows of docs whose text has a language that the model gives at least ``least``; columns as they were.
+
+    A text with a letter also stays where the model cannot judge it: where it has learned no language at all (no row had
+    a lang to learn from), and where the row's own lang is none of those learned (see ``most_labels``)."""
     names = docs.columns
-    return predict(docs, model).where((F.col("lang_pred") != NO_LANGUAGE) & (F.col("score") >= least)).select(*names)
+    found = (F.col("lang_pred") != NO_LANGUAGE) & (F.col("score") >= least)
+    letter = F.coalesce(F.col("text").rlike(r"\p{L}"), F.lit(False))
+    if model.labels == [NO_LANGUAGE]:
+        return docs.where(letter)
+    if "lang" in names:
+        found = found | (F.coalesce(~F.col("lang").isin(model.labels), F.lit(False)) & letter)
+    return predict(docs, model).where(found).select(*names)

@@ -286,6 +286,15 @@ def test_language_on_held_out_documents(spark, odd, nothing):
     assert language.train(nothing).labels == ["und"]
 
 
+def test_texts_that_the_model_cannot_judge_are_kept(spark):
+    df = spark.createDataFrame([(1, "some words", None), (2, "", None), (3, None, None), (4, "12 ..", None), (5, "words", None)], "doc_id long, text string, lang string")
+    kept = language.keep_known(df, language.train(df))
+    assert kept.columns == df.columns and sorted(r["doc_id"] for r in kept.collect()) == [1, 5]
+    model = language.ByteGRU(["a", "b"])
+    rare = df.withColumn("lang", F.when(F.col("doc_id") != 5, "rare"))
+    assert [r["doc_id"] for r in language.keep_known(rare, model, least=2.0).collect()] == [1]
+
+
 # 4: toxicity
 
 
