@@ -239,6 +239,65 @@ def test_quality_statistics_and_verdict(spark, odd, nothing):
     assert quality.assess(nothing).count() == 0
 
 
+def plain_estimate(x):
+    """Least determinant over the three starts, in numpy: (logdet, mean, covariance without floors)."""
+    floors, (n, d) = np.diag(np.square(quality.FLOORS)), x.shape
+    low = lambda v: np.sort(v)[(len(v) + 1) // 2 - 1]
+    mid = np.array([low(c) for c in x.T])
+    mad = 1.4826 * np.array([low(np.abs(c - m)) for c, m in zip(x.T, mid, strict=True)])
+    spread = np.sqrt(mad**2 + np.diag(floors))
+    z = (x - mid) / spread
+    away = lambda v: np.sign(v) * np.floor(np.abs(v) + 0.5)
+    scored = [away(1000 * v) / 1000 for v in (z / np.maximum(np.linalg.norm(z, axis=1), 1e-6)[:, None], np.tanh(z))]
+    starts = [np.diag(mad**2), *[v.T @ v / n * np.outer(spread, spread) for v in scored]]
+    found = []
+    for cov in starts:
+        mean, last = mid, np.inf
+        while True:
+            gap = x - mean
+            d2 = (gap * np.linalg.solve(cov + floors, gap.T).T).sum(axis=1)
+            bucket, wanted, before, weight = np.floor(quality.BUCKETS_PER_OCTAVE * np.log2(1 + d2)), np.ceil(quality.SHARE * n), 0, np.zeros(n)
+            for b in np.unique(bucket):
+                own = bucket == b
+                weight[own] = min(1.0, max(0, wanted - before) / own.sum())
+                before += own.sum()
+            mean = weight @ x / weight.sum()
+            cov = (x * weight[:, None]).T @ x / weight.sum() - np.outer(mean, mean)
+            logdet = np.linalg.slogdet(cov + floors)[1]
+            if logdet >= last - quality.FALL:
+                break
+            last, kept = logdet, (logdet, mean, cov)
+        found.append(kept)
+    return min(found, key=lambda e: e[0]), [e[0] for e in found]
+
+
+def test_least_determinant_equals_plain_numpy(spark):
+    """Groups with a compact cluster of outliers, with ties and with one value throughout."""
+    r = np.random.default_rng(12)
+    groups = {}
+    for g, share in enumerate((0.0, 0.2, 0.24)):
+        own = r.normal(size=(400, 4)) @ r.normal(size=(4, 4)) * 300 + 2000
+        far = r.normal(size=(int(400 * share), 4)) * 20 + 3500
+        groups[f"g{g}"] = np.rint(np.concatenate([own[: 400 - len(far)], far]))
+    groups["ties"] = np.repeat(np.rint(r.normal(size=(10, 4)) * 200), 7, axis=0)
+    groups["one"] = np.full((45, 4), 5.0)
+    df = spark.createDataFrame([(g, *map(int, v)) for g, x in groups.items() for v in x], "grp string, x1 long, x2 long, x3 long, x4 long").repartition(3)
+    got = {e["grp"]: e for e in quality.least_determinants(df).collect()}
+    for g, x in groups.items():
+        (logdet, mean, cov), starts = plain_estimate(x)
+        assert got[g]["logdet"] == pytest.approx(logdet, abs=1e-6) and logdet == min(starts)
+        assert np.allclose([got[g][f"m{i}"] for i in range(1, 5)], mean) and np.allclose([got[g][f"c{i + 1}{j + 1}"] for i in range(4) for j in range(i + 1)], [cov[i, j] for i in range(4) for j in range(i + 1)], atol=1e-4)
+    assert quality.least_determinants(df.limit(0)).count() == 0
+
+
+def test_repeated_words_are_exact_whatever_the_hash(spark):
+    texts = [" ".join(noise(80, k, "ab")) for k in range(6)] + ["a b c " * 40, "", None, " ".join(map(str, range(3000))) + " 7 8 9", "a b"]
+    df = spark.createDataFrame([(i, t, "en", "s") for i, t in enumerate(texts)], "doc_id long, text string, lang string, source string")
+    for bits in (63, 9, 0):
+        got = {r["doc_id"]: r["n_repeat_words"] for r in quality.text_statistics(df, bits).collect()}
+        assert [got[i] for i in range(len(texts))] == [plain_statistics(t)[4] for t in texts]
+
+
 def test_symbols_count_twice_for_astral_characters(spark):
     df = spark.createDataFrame([(1, "😀 a\x0bb 😀", "en", "s")], "doc_id long, text string, lang string, source string")
     r = quality.assess(df).first()
