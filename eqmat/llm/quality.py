@@ -26,6 +26,7 @@ DIMS = ("x1", "x2", "x3", "x4")
 UNIT = 1000  # the whole-number step of a statistic
 FLOORS = (120.0, 60.0, 60.0, 150.0)  # spread that is always allowed for, in units, per statistic
 SHARE, MOST_STEPS, LEAST_GROUP = 0.75, 100, 40
+SALTS = 32  # parts of a group in joins
 STARTS = ("spread", "signs", "squashed")
 FALL = 1e-3  # a determinant falls if its logarithm falls by more
 CONSISTENCY = 1.486  # 0.75 / P(chi2 with 6 degrees <= 0.75 quantile of chi2 with 4 degrees)
@@ -100,6 +101,16 @@ _PAIRS = [(i, j) for i in range(4) for j in range(i + 1)]
 _MEANS, _CELLS = [f"m{i + 1}" for i in range(4)], [f"c{i + 1}{j + 1}" for i, j in _PAIRS]
 
 
+def _salted(estimate: DataFrame) -> DataFrame:
+    """A row of each group for each salt: joined by group and salt, a large group is spread over many tasks, also where
+    sums by group follow the join."""
+    return estimate.withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))))
+
+
+def _salt() -> Column:
+    return F.pmod(F.monotonically_increasing_id(), F.lit(SALTS)).cast("int")
+
+
 def _median(values: DataFrame, column: str) -> DataFrame:
     """Median of column for grp, dim over values counted by n: few rows, one for each value."""
     w = Window.partitionBy("grp", "dim")
@@ -119,7 +130,7 @@ def _starts(rows: DataFrame) -> DataFrame:
     pick = [F.expr(f"cast(max(case when dim = {i + 1} then {c} end) as double) as {n}{i + 1}") for c, n in (("median", "m"), ("mad", "s")) for i in range(4)]
     wide = saved(both.groupBy("grp").agg(*pick), "spread")
     spread = [f"sqrt(pow(1.4826 * s{i + 1}, 2) + {FLOORS[i] ** 2}D)" for i in range(4)]
-    scored = rows.join(wide, "grp").selectExpr("grp", *[f"({d} - m{i + 1}) / {spread[i]} as z{i + 1}" for i, d in enumerate(DIMS)], "greatest(sqrt(z1 * z1 + z2 * z2 + z3 * z3 + z4 * z4), 1e-6D) as z")
+    scored = rows.join(_salted(wide), ["grp", "salt"]).selectExpr("grp", *[f"({d} - m{i + 1}) / {spread[i]} as z{i + 1}" for i, d in enumerate(DIMS)], "greatest(sqrt(z1 * z1 + z2 * z2 + z3 * z3 + z4 * z4), 1e-6D) as z")
     whole = [f"cast(round({UNIT} * {v}) as bigint) as {name}{i}" for i in range(1, 5) for name, v in (("a", f"z{i} / z"), ("b", f"tanh(z{i})"))]
     sums = [F.expr(f"sum({name}{i + 1} * {name}{j + 1}) as {name}{i + 1}{j + 1}") for name in "ab" for i, j in _PAIRS]
     base = saved(scored.selectExpr("grp", *whole).groupBy("grp").agg(F.count("*").alias("n"), *sums), "scores").join(wide, "grp")
@@ -146,7 +157,7 @@ def _factor(estimate: DataFrame) -> DataFrame:
 def _distance(rows: DataFrame, estimate: DataFrame, *also: str) -> DataFrame:
     """Add d2, the squared Mahalanobis distance, by forward substitution, for each estimate of the group."""
     steps = [f"({DIMS[i]} - m{i + 1}" + "".join(f" - l{i + 1}{k + 1} * y{k + 1}" for k in range(i)) + f") / l{i + 1}{i + 1} as y{i + 1}" for i in range(4)]
-    out = rows.join(estimate, "grp", "left").selectExpr(*rows.columns, *also, *steps, "y1 * y1 + y2 * y2 + y3 * y3 + y4 * y4 as d2")
+    out = rows.join(_salted(estimate), ["grp", "salt"], "left").selectExpr(*rows.columns, *also, *steps, "y1 * y1 + y2 * y2 + y3 * y3 + y4 * y4 as d2")
     return out.drop("y1", "y2", "y3", "y4")
 
 
@@ -168,6 +179,7 @@ def least_determinants(rows: DataFrame) -> DataFrame:
     """rows(grp, x1..x4) -> for each grp the estimate (m, c, l, logdet) and the start of the least determinant that any
     start comes to. Concentration goes on for those starts whose determinant still falls, by more than FALL in its
     logarithm and MOST_STEPS times at most. Equal determinants: the first start by name."""
+    rows = rows if "salt" in rows.columns else saved(rows.withColumn("salt", _salt()), "vectors")
     open_ = saved(_concentrate(rows, saved(_starts(rows), "start")), "estimate")
     seen = [open_]
     for _ in range(MOST_STEPS):
@@ -188,9 +200,9 @@ def assess(docs: DataFrame) -> DataFrame:
     An empty or null text fails the base rules; where a document fails them d2 is null. Null languages and sources
     form groups of their own, repeated rows count as often as they come, and an empty table gives no rows.
     """
-    stats = saved(vectors(text_statistics(docs)).withColumn("base_failed", base_failed()), "statistics")
+    stats = saved(vectors(text_statistics(docs)).withColumns({"base_failed": base_failed(), "salt": _salt()}), "statistics")
     rows = grouped(stats)
-    ok = saved(rows.where(~F.col("base_failed")).select("grp", *DIMS), "vectors")
+    ok = saved(rows.where(~F.col("base_failed")).select("grp", "salt", *DIMS), "vectors")
     least = least_determinants(ok)
     estimate = saved(_factor(least.selectExpr("grp", "start", *_MEANS, *[f"{CONSISTENCY}D * {c} as {c}" for c in _CELLS])), "estimate")
     judged = _distance(rows, estimate)
