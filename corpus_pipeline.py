@@ -6,6 +6,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 
 from eqmat.llm import language, packing, personal, quality, simhash
+from eqmat.llm.queries import surrogate_key
 from eqmat.storage import saved, table
 
 
@@ -22,7 +23,7 @@ def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFr
 
 
 def personal_surrogates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    return personal.replace_personal(docs)
+    return personal.replace_personal(docs, surrogate_key(spark))
 
 
 def best_fit_packing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
