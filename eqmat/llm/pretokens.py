@@ -1,8 +1,14 @@
-"""Two small tools that both tokenizer operators share: bounded word caches and safe splitting at spaces."""
+"""Small tools that operators on whole texts share: bounded word caches, safe splitting at spaces, and slices of Arrow
+batches that are bounded by bytes."""
 
 from __future__ import annotations
 
 import re
+from collections.abc import Iterator
+
+import numpy as np
+import pyarrow as pa
+import pyarrow.compute as pc
 
 _AT_SAFE_SPACE = re.compile(r"(?<=\S) (?=\S)")
 _UNSAFE = re.compile(r" \s|\s |\A\s|\s\Z")
@@ -53,3 +59,18 @@ def safe_chunks(text: str) -> list[str]:
         return []
     parts = _AT_SAFE_SPACE.split(text) if _UNSAFE.search(text) else text.split(" ")
     return [parts[0], *[" " + p for p in parts[1:]]]
+
+
+def byte_slices(batch: pa.RecordBatch, rows: int = 1024, size: int = 4 << 20) -> Iterator[pa.RecordBatch]:
+    """The rows of a batch in order, at most ``rows`` and, but for a single longer one, ``size`` bytes of its last column
+    at a time: one worker never holds more than that as Python values, whatever the texts."""
+    n = batch.num_rows
+    if not n:
+        return
+    ends = np.cumsum(pc.fill_null(pc.binary_length(batch.column(batch.num_columns - 1)), 0).to_numpy(zero_copy_only=False).astype(np.int64))
+    at = 0
+    while at < n:
+        done = ends[at - 1] if at else 0
+        to = max(at + 1, min(at + rows, n, int(np.searchsorted(ends, done + size, side="right"))))
+        yield batch.slice(at, to - at)
+        at = to

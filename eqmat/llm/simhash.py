@@ -2,7 +2,7 @@
 
 Two fingerprints that differ in at most three of 64 bits agree in one of four 16-bit blocks, so each distinct
 fingerprint is sent to four groups and every link is found inside one of them. A group that is too large is dealt
-again by four blocks of the 48 bits that are left, which loses no link for the same reason. Inside a group the
+again by four blocks of the 48 bits that are left, and of the 36 and 27 left then, which loses no link for the same reason. Inside a group the
 fingerprints are sorted by Gray rank and the bits that neighbours share are factored into upper nodes; a search adds
 up differences on the way down and drops a whole subtree once they pass the limit, or once its members and the query
 are known to be connected already. So a dense cluster costs little more than its size and is given out as a star.
@@ -19,10 +19,12 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from eqmat.components import connected_components
+from eqmat.llm.pretokens import byte_slices
 from eqmat.storage import keyed, saved
 
 SEED, SHINGLE, MOST_BITS = 42, 3, 3
 FAN, MOST_GROUP, MOST_FRONTIER = 8, 4096, 2_000_000
+INDEXED_AT_ONCE = 65_536  # rows of whole groups
 
 
 def shingle_hashes(text: str | None, size: int = SHINGLE) -> list[int]:
@@ -150,7 +152,7 @@ class GrayIndex:
 
 def _fingerprint_rows(size: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
+        for b in (part for batch in batches for part in byte_slices(batch)):
             yield pa.RecordBatch.from_arrays([*b.columns[:-1], pa.array(fingerprints(b.columns[-1].to_pylist(), size).view(np.int64))], names=[*b.schema.names[:-1], "fp"])
 
     return run
@@ -163,51 +165,74 @@ def document_fingerprints(docs: DataFrame, size: int = SHINGLE, *also: str) -> D
     return narrow.mapInArrow(_fingerprint_rows(size), ", ".join(f"{c} long" for c in [*ids, "fp"]))
 
 
-def _stars(most: int):
+def _whole_groups(batches: Iterator[pa.RecordBatch], rows: int) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """(groups, fingerprints) of rows that come sorted by group: about ``rows`` at a time, never part of a group."""
+    held: list[tuple[np.ndarray, np.ndarray]] = []
+    n = 0
+    for b in batches:
+        g, f = b.column(0).to_numpy(), b.column(1).to_numpy()
+        if not len(g):
+            continue
+        if n >= rows:  # the last group goes on for as long as its number comes again
+            cut = int(np.searchsorted(g, held[-1][0][-1], side="right"))
+            held.append((g[:cut], f[:cut]))
+            n += cut
+            if cut == len(g):
+                continue
+            yield tuple(np.concatenate(x) for x in zip(*held, strict=True))
+            held, n, g, f = [], 0, g[cut:], f[cut:]
+        held.append((g, f))
+        n += len(g)
+    if held:
+        yield tuple(np.concatenate(x) for x in zip(*held, strict=True))
+
+
+def _stars(most: int, rows: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        parts = [(b.column(0).to_numpy(), b.column(1).to_numpy()) for b in batches if b.num_rows]
-        if not parts:
-            return
-        groups, prints = (np.concatenate(x) for x in zip(*parts, strict=True))
-        index = GrayIndex(groups, prints.view(np.uint64))
-        top = index.connect(most)
-        at = np.flatnonzero(top != np.arange(len(top)))
-        f = index.prints.view(np.int64)
-        if len(at):
-            yield pa.RecordBatch.from_arrays([pa.array(f[at]), pa.array(f[top[at]])], names=["u", "v"])
+        for groups, prints in _whole_groups(batches, rows):
+            index = GrayIndex(groups, prints.view(np.uint64))
+            top = index.connect(most)
+            at = np.flatnonzero(top != np.arange(len(top)))
+            f = index.prints.view(np.int64)
+            if len(at):
+                yield pa.RecordBatch.from_arrays([pa.array(f[at]), pa.array(f[top[at]])], names=["u", "v"])
 
     return run
 
 
-def _block(fp, k: int, width: int, low: int):
-    return F.shiftrightunsigned(fp, low + k * width).bitwiseAND(F.lit((1 << width) - 1))
+def _dealt(rows: DataFrame, width: int) -> DataFrame:
+    """rows(grp, fp, rest) once for each of four blocks of the ``width`` low bits of rest: grp tells the groups so far and
+    the bits of the block, rest has the other bits, moved together. Two that meet in a group by chance are none the
+    worse for it: every link is decided by the fingerprints."""
+    own = width // 4
+    out = rows.withColumn("k", F.explode(F.array(*map(F.lit, range(4)))))
+    block = F.expr(f"shiftrightunsigned(rest, k * {own}) & {(1 << own) - 1}L")
+    low, high = F.expr("rest & (shiftleft(1L, k * %d) - 1)" % own), F.expr(f"case when k = 3 then 0L else shiftleft(shiftrightunsigned(rest, (k + 1) * {own}), k * {own}) end")
+    return out.select(F.xxhash64("grp", "k", block).alias("grp"), "fp", (low.bitwiseOR(high)).alias("rest"))
 
 
 def _grouped(prints: DataFrame) -> DataFrame:
-    """grp, fp: four groups for each fingerprint, sixteen where a group would be too large."""
-    fp = F.col("fp")
-    first = prints.select("fp", F.explode(F.array(*[F.struct(F.lit(k).alias("b"), _block(fp, k, 16, 0).alias("key")) for k in range(4)])).alias("g")).select("fp", (F.col("g.b") * 65_536 + F.col("g.key")).cast("long").alias("grp"))
-    heavy = saved(first.groupBy("grp").count().where(F.col("count") > MOST_GROUP).select(F.col("grp").alias("big")), "heavy")
-    if heavy.limit(1).count() == 0:
-        return first.select("grp", "fp")
-    marked = first.join(heavy, first.grp == heavy.big, "left")
-    # The 48 bits beside block b, moved together, in four blocks of 12.
-    b = F.floor(F.col("grp") / 65_536).cast("int")
-    marked = marked.withColumn("b", b)
-    rest = F.when(F.col("b") == 3, F.expr("fp & 281474976710655")).otherwise(
-        F.expr("fp & (shiftleft(1L, cast(16 * b as int)) - 1)").bitwiseOR(F.expr("shiftleft(shiftrightunsigned(fp, cast(16 * (b + 1) as int)), cast(16 * b as int))"))
-    )
-    marked = marked.withColumn("rest", rest)
-    finer = F.array(*[F.col("grp") + (1 << 18) * (1 + k + 4 * _block(F.col("rest"), k, 12, 0)) for k in range(4)])
-    return marked.select("fp", F.explode(F.when(F.col("big").isNull(), F.array(F.col("grp"))).otherwise(finer)).alias("grp")).select("grp", "fp")
+    """grp, fp: four groups for each fingerprint; the rows of groups of over MOST_GROUP are dealt again by the bits that
+    are left, three times at most, for fingerprints that agree in a block differ in three bits at most of the others."""
+    rows, width, done = _dealt(prints.select(F.lit(0).cast("long").alias("grp"), "fp", F.col("fp").alias("rest")), 64), 48, None
+    while True:
+        heavy = saved(rows.groupBy("grp").count().where(F.col("count") > MOST_GROUP).select(F.col("grp").alias("big")), "heavy")
+        last = width < 27 or heavy.isEmpty()
+        own = rows if last else rows.join(heavy, rows.grp == heavy.big, "left_anti")
+        done = own.select("grp", "fp") if done is None else done.unionByName(own.select("grp", "fp"))
+        if last:
+            return done
+        rows = _dealt(saved(rows.join(heavy, rows.grp == heavy.big, "left_semi"), "large"), width)
+        width = width // 4 * 3
 
 
 def fingerprint_components(prints: DataFrame, most: int = MOST_BITS) -> DataFrame:
-    """(node, comp) for the distinct fingerprints (column fp) that have a link of at most ``most`` <= 3 bits."""
+    """(node, comp) for the distinct fingerprints (column fp) that have a link of at most ``most`` <= 3 bits. Tasks take
+    their groups one after the other, so what they hold does not follow the number of partitions."""
     if not 0 <= most <= MOST_BITS:
         raise ValueError("blocks of 16 bits serve for up to three differing bits")
     parts = max(int(prints.sparkSession.conf.get("spark.sql.shuffle.partitions")), 1)
-    stars = _grouped(prints).repartition(parts, "grp").mapInArrow(_stars(most), "u long, v long")
+    stars = _grouped(prints).repartition(parts, "grp").sortWithinPartitions("grp").mapInArrow(_stars(most, INDEXED_AT_ONCE), "u long, v long")
     return connected_components(stars)
 
 
