@@ -20,10 +20,11 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from eqmat.llm.pretokens import Generations
+from eqmat.llm.pretokens import Generations, byte_slices
 from eqmat.storage import saved
 
 CAPACITY, END_ID = 2048, 0
+LONGEST_MERGED = 256  # letters of a word that the merger takes; its steps grow with the longest word
 _TOKENIZERS: dict[str, tuple] = {}
 #: Letters that lower-case one by one and are in composed form: ASCII, Latin-1 and Latin Extended without the dotted I.
 _PLAIN = re.compile("[A-Za-z\u00c0-\u00d6\u00d8-\u00f6\u00f8-\u012f\u0131-\u024f]+")
@@ -129,8 +130,8 @@ def _tokenizer(path: str):
 
 
 def _encode_words(tok, merger: WordMerger, words: list[str]) -> list[bytes]:
-    """Words of plain letters by the merger, whatever else there is by the tokenizer itself."""
-    plain = [bool(_PLAIN.fullmatch(w)) for w in words]
+    """Words of plain letters by the merger, whatever else there is, and words of great length, by the tokenizer itself."""
+    plain = [len(w) <= LONGEST_MERGED and bool(_PLAIN.fullmatch(w)) for w in words]
     fast = iter(merger.encode([w.lower() for w, p in zip(words, plain, strict=True) if p]))
     slow = iter(tok.encode_batch_fast([w for w, p in zip(words, plain, strict=True) if not p], add_special_tokens=False))
     return [next(fast) if p else np.asarray(next(slow).ids, "<u4").tobytes() for p in plain]
@@ -178,8 +179,7 @@ def _pieces(path: str, capacity: int, end_id: int):
         task = TaskContext.get().partitionId()
         seen: dict[int, int] = {}
         for batch in batches:
-            for at in range(0, batch.num_rows, 1024):
-                part = batch.slice(at, 1024)
+            for part in byte_slices(batch):
                 out: list[tuple] = []
                 for doc, ids in zip(part.column(0).to_pylist(), encode_texts(path, part.column(1).to_pylist()), strict=True):
                     ids += tail
@@ -291,6 +291,7 @@ def pack(docs: DataFrame, tokenizer_path: str, capacity: int = CAPACITY, end_id:
     counts = {r["length"]: r["n"] for r in per_task.groupBy("length").agg(F.sum("n").alias("n")).collect()}  # at most `capacity` rows
     before = Window.partitionBy("length").orderBy("task").rowsBetween(Window.unboundedPreceding, -1)
     offsets = per_task.select("task", "length", F.coalesce(F.sum("n").over(before), F.lit(0)).alias("base"))
-    ranked = pieces.join(offsets, ["task", "length"]).select("doc_id", "piece", "start", "length", "ids_crc32", (F.col("base") + F.col("nth")).alias("rank"))
+    ranked = pieces.hint("merge").join(offsets, ["task", "length"]).select("doc_id", "piece", "start", "length", "ids_crc32", (F.col("base") + F.col("nth")).alias("rank"))
+    # By merge: the offsets grow with the tasks and lengths, and only narrow rows move.
     slots = _slots(minimum_slack_plan(counts, capacity))
     return ranked.mapInArrow(_place(slots), "doc_id long, piece int, start long, length long, ids_crc32 long, sequence_id long, offset long")
