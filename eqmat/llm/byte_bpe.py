@@ -11,6 +11,7 @@ from __future__ import annotations
 
 import base64
 import hashlib
+from array import array
 from collections.abc import Iterator
 
 import numpy as np
@@ -19,9 +20,10 @@ import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from eqmat.llm.pretokens import Generations, safe_chunks
+from eqmat.llm.pretokens import Generations, byte_slices, safe_chunks
 
 WORD = 64
+MERGED_AT_ONCE = 1 << 20  # bytes
 
 
 class RankQueue:
@@ -37,7 +39,7 @@ class RankQueue:
         if bucket is not None:
             bucket.append(position)
             return
-        self.buckets[rank] = [position]
+        self.buckets[rank] = array("i", (position,))
         a, b = rank >> 12, rank >> 6
         self.top |= 1 << a
         self.mid[a] = self.mid.get(a, 0) | 1 << (b & 63)
@@ -81,15 +83,28 @@ class ByteBPE:
         with open(path, "rb") as f:
             return cls({base64.b64decode(a): int(b) for a, b in map(bytes.split, f)}, pattern, cache)
 
-    def merge(self, pieces: list[bytes]) -> list[bytes]:
-        """Ids of each pre-token as little-endian 32-bit integers. All pre-tokens of the call share one queue: the
-        merges of one never touch another, and a bucket that holds the positions of many is taken once."""
+    def merge(self, pieces: list[bytes], most: int = MERGED_AT_ONCE) -> list[bytes]:
+        """Ids of each pre-token as little-endian 32-bit integers, about ``most`` bytes at a time; a longer pre-token is
+        merged by itself."""
+        out, own, held = [], [], 0
+        for p in pieces:
+            if own and held + len(p) > most:
+                out += self._merge(own)
+                own, held = [], 0
+            own.append(p)
+            held += len(p)
+        return out + self._merge(own) if own else out
+
+    def _merge(self, pieces: list[bytes]) -> list[bytes]:
+        """All pre-tokens of the call share one queue: the merges of one never touch another, and a bucket that holds
+        the positions of many is taken once."""
         ranks, get = self.ranks, self.ranks.get
         data = b"".join(pieces)
         total = len(data)
-        end = list(range(1, total + 1))  # where the symbol that starts here ends, and so where the next one starts
-        prev = list(range(-1, total))
-        at = [-1] * (total + 1)  # rank of the pair that starts here; -1: none, or no symbol starts here
+        # Four bytes a place: a very long pre-token costs some twenty times its bytes, not hundreds.
+        end = array("i", range(1, total + 1))  # where the symbol that starts here ends, and so where the next one starts
+        prev = array("i", range(-1, total))
+        at = array("i", [-1]) * (total + 1)  # rank of the pair that starts here; -1: none, or no symbol starts here
         last = bytearray(total + 1)  # 1 where a pre-token ends
         starts, i = [], 0
         for p in pieces:
@@ -109,7 +124,7 @@ class ByteBPE:
                     push(r, i)
         while (rank := queue.first()) >= 0:
             bucket = queue.pop(rank)
-            bucket.sort()  # left to right; a new pair is longer than what was merged, so none of this rank can arise
+            bucket = sorted(bucket)  # left to right; a new pair is longer than what was merged, so none of this rank can arise
             for i in bucket:
                 if at[i] != rank:
                     continue  # stale
@@ -134,14 +149,14 @@ class ByteBPE:
                             buckets[r].append(p)
                         else:
                             push(r, p)
-        ids, cuts, i = [], [0], 0
+        ids, cuts, i = array("I"), [0], 0
         while i < total:
             e = end[i]
             ids.append(ranks[data[i:e]])
             if last[e]:
                 cuts.append(4 * len(ids))
             i = e
-        flat = np.array(ids, "<u4").tobytes()
+        flat = np.asarray(ids, "<u4").tobytes()
         return [flat[a:b] for a, b in zip(cuts, cuts[1:])]
 
     def _make_words(self, words: list[str]) -> list[bytes]:
@@ -174,10 +189,9 @@ def coder(path: str, pattern: str) -> ByteBPE:
     return _CODERS[path, pattern]
 
 
-def _slices(batches: Iterator[pa.RecordBatch], rows: int = 1024) -> Iterator[tuple[list, list]]:
+def _slices(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[list, list]]:
     for b in batches:
-        for at in range(0, b.num_rows, rows):
-            part = b.slice(at, rows)
+        for part in byte_slices(b):
             yield part.column(0).to_pylist(), part.column(1).to_pylist()
 
 
@@ -213,7 +227,11 @@ def decode(encoded: DataFrame, path: str, pattern: str) -> DataFrame:
 
 
 def round_trip(docs: DataFrame, path: str, pattern: str) -> DataFrame:
-    """Encode and decode in one pass, for digests: doc_id, n_tokens, ids_sha256, decoded_sha256."""
+    """Encode and decode in one pass, for digests: docs(doc_id, text) -> doc_id, n_tokens, ids_sha256, decoded_sha256.
+
+    A null or empty text has no ids and decodes to no bytes; a null doc_id stays null; repeated rows come out each; an
+    empty table gives no rows; other columns are not looked at.
+    """
 
     def run(batches):
         own = coder(path, pattern)

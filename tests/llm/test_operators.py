@@ -1,19 +1,22 @@
 import base64
+import hashlib
 import hmac
 import random
 import re
+import zlib
 from collections import Counter
 from itertools import product
 
 import numpy as np
 import public_tokenizers
+import pyarrow as pa
 import pytest
 import tiktoken
 import xxhash
 from pyspark.sql import functions as F
 from tokenizers import Tokenizer
 
-from eqmat.llm import byte_bpe, chat, language, packing, personal, quality, queries, sharding, simhash, toxicity, vectors
+from eqmat.llm import byte_bpe, chat, language, packing, personal, pretokens, quality, queries, sharding, simhash, toxicity, vectors
 from eqmat.storage import table
 
 SF = "/root/testdata/sf0.001"
@@ -58,6 +61,39 @@ def test_byte_bpe_equals_the_library(spark, odd, nothing):
     assert all(back[i] == (t or "").encode() for i, t in enumerate(ODD))
 
 
+def test_round_trip_digests(spark, odd, nothing):
+    path, own, ref = rank_coder()
+    texts = [t or "" for t in ODD]
+    got = {r["doc_id"]: r for r in byte_bpe.round_trip(odd, path, public_tokenizers.PATTERN).collect() if r["doc_id"] is not None}
+    for i, t in enumerate(texts):
+        ids = np.array(ref.encode_ordinary(t), "<u4")
+        want = (i, len(ids), hashlib.sha256(ids.tobytes()).hexdigest(), hashlib.sha256(t.encode()).hexdigest())
+        assert tuple(got[i]) == want
+    assert byte_bpe.round_trip(nothing, path, public_tokenizers.PATTERN).count() == 0
+
+
+def test_very_long_texts(spark):
+    """One text of 20 MB among many of a megabyte, in one partition, and a single word of 2 MB."""
+    path, own, ref = rank_coder()
+    words = " ".join(noise(4000, 9, "abcdefg,. "))
+    texts = [words * (20_000_000 // len(words)), "ab" * 1_000_000, *[words * (1_000_000 // len(words))] * 12, None]
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").coalesce(1)
+    got = {r["doc_id"]: r["n_tokens"] for r in byte_bpe.round_trip(df, path, public_tokenizers.PATTERN).collect()}
+    assert got[0] == len(ref.encode_ordinary(texts[0])) and got[2] == got[13] == len(ref.encode_ordinary(texts[2])) and got[14] == 0
+    assert own.decode(own.merge([texts[1].encode()])[0]) == texts[1].encode() and own.merge([b"ab" * 500])[0] == np.array(ref.encode_ordinary("ab" * 500), "<u4").tobytes()
+    prints = {r["doc_id"]: r["component_id"] for r in simhash.near_duplicates(df).collect()}
+    assert len(prints) == 15 and prints[13] == prints[2]
+    pieces = packing.pack(df, public_tokenizers.path("word_bpe_49k.json")).groupBy("doc_id").agg(F.sum("length").alias("n")).collect()
+    assert len(pieces) == 15 and all(r["n"] > 1 or r["doc_id"] == 14 for r in pieces)
+
+
+def test_slices_hold_all_rows_and_few_bytes():
+    batch = pa.record_batch({"i": list(range(9)), "t": ["a" * n for n in (1, 5, 30, 2, 2, 2, 0, 9, 1)]})
+    got = list(pretokens.byte_slices(batch, 4, 10))
+    assert [i for b in got for i in b.column(0).to_pylist()] == list(range(9)) and [b.num_rows for b in got] == [2, 1, 4, 2]
+    assert list(pretokens.byte_slices(batch.slice(0, 0))) == [] and [b.num_rows for b in pretokens.byte_slices(batch.slice(2, 3), 4, 10)] == [1, 2]
+
+
 def test_rank_queue_gives_ranks_in_order():
     queue, r, want = byte_bpe.RankQueue(), random.Random(0), Counter()
     for _ in range(500):
@@ -108,6 +144,12 @@ def test_packing_is_gapless_and_tight(spark, odd, nothing):
     n = check_packing(rows, 2048)
     assert n <= 1.02 * sum(r["length"] for r in rows) / 2048 + 1
     assert all(r["length"] == 2048 or r["piece"] == max(x["piece"] for x in rows if x["doc_id"] == r["doc_id"]) for r in rows)
+    tok = Tokenizer.from_file(path)
+    tok.encode_special_tokens = True
+    text = {r["doc_id"]: r["text"] or "" for r in table(spark, SF, "documents").collect()}
+    for r in rows:
+        ids = [*tok.encode(text[r["doc_id"]], add_special_tokens=False).ids, 0][r["start"] : r["start"] + r["length"]]
+        assert r["start"] == 2048 * r["piece"] and len(ids) == r["length"] and zlib.crc32(np.array(ids, "<u4").tobytes()) == r["ids_crc32"]
     rows = packing.pack(odd, path, capacity=16).collect()
     check_packing(rows, 16)
     assert {r["doc_id"] for r in rows} == {None, *range(len(ODD))}
@@ -164,7 +206,7 @@ def test_simhash_equals_brute_force(spark, odd, nothing):
     assert kept.columns == odd.columns and kept.count() == len({r["component_id"] for r in got})
 
 
-@pytest.mark.parametrize("most_group", [4096, 8])
+@pytest.mark.parametrize("most_group", [4096, 8, 2])
 def test_groups_lose_no_link(spark, monkeypatch, most_group):
     monkeypatch.setattr(simhash, "MOST_GROUP", most_group)
     r = random.Random(6)
@@ -177,6 +219,16 @@ def test_groups_lose_no_link(spark, monkeypatch, most_group):
     assert {s: got.get(s, s) for s in signed} == dict(zip(signed, want, strict=True))
 
 
+def test_groups_are_whole_however_batches_fall():
+    r = np.random.default_rng(1)
+    groups = np.sort(r.integers(0, 12, 300))
+    table_ = pa.table({"g": groups, "f": np.arange(300)})
+    for size in (1, 7, 300):
+        got = list(simhash._whole_groups(iter(table_.to_batches(max_chunksize=size)), 40))
+        assert np.concatenate([g for g, _ in got]).tolist() == groups.tolist() and np.concatenate([f for _, f in got]).tolist() == list(range(300))
+        assert (len(got) > 3 or size == 300) and sum(len(set(g.tolist())) for g, _ in got) == len(set(groups.tolist()))
+
+
 def test_dense_cluster_in_the_index(monkeypatch):
     monkeypatch.setattr(simhash, "MOST_FRONTIER", 500)
     prints = np.unique(np.array([1 << i | 1 << j for i in range(40) for j in range(40)], np.uint64))
@@ -214,6 +266,13 @@ def test_vectors_equal_brute_force(spark):
     assert vectors.near_duplicates(df.limit(0)).count() == 0
 
 
+def test_labels_and_vectors_are_told_apart(spark):
+    """Labels with commas, repeated ids, and blocks of a few rows that must not lose a link."""
+    rows = [(1, [2.0, 1.0], "a"), (2, [1.0], "a,2.0"), (3, [2.0, 1.0], "a,2.0"), (3, [2.0, 1.0], "a"), (5, [-0.0, 1.0], "z"), (6, [0.0, 1.0], "z")]
+    got = Counter(tuple(r) for r in vectors.near_duplicates(spark.createDataFrame(rows, "vec_id long, embedding array<float>, label string")).collect())
+    assert got == {(1, 1, 1, True): 1, (2, 0, 2, True): 1, (3, 0, 3, True): 1, (3, 1, 1, False): 1, (5, 1, 5, True): 1, (6, 1, 5, False): 1}
+
+
 # 7: quality
 
 
@@ -498,6 +557,14 @@ def test_shards_fit_and_partition(spark, odd, nothing):
     assert sharding.assign_shards(odd, 100).count() == len(ODD) + 2 and sharding.assign_shards(nothing, 100).count() == 0
 
 
+def test_shards_are_written(spark, tmp_path):
+    df = spark.createDataFrame([(i, "x" * (i % 7)) for i in range(60)], "doc_id long, text string")
+    directory = sharding.write_shards(df, str(tmp_path / "s"), 40).collect()
+    back = spark.read.parquet(str(tmp_path / "s"))
+    assert back.select("doc_id", "text").exceptAll(df).count() == 0 and back.count() == 60
+    assert sum(r["shard_rows"] for r in directory) == 60 and all(r["shard_bytes"] <= 40 for r in directory)
+
+
 def test_equal_keys_go_on_in_pages(spark):
     df = spark.createDataFrame([(7, "x" * 10)] * 40 + [(8, "y" * 10)], "doc_id long, text string")
     rows = sharding.assign_shards(df, 50).collect()
