@@ -7,22 +7,29 @@ from pyspark.sql import functions as F
 
 from eqmat.components import connected_components
 from eqmat.operators.dictionary import empty
-from eqmat.storage import saved
+from eqmat.storage import counted
+
+
+BROADCAST_ROWS = 1_000_000  # rows of 16 bytes
 
 
 class RepMap:
-    """rows(member, rep): only resources that have been replaced; any other represents itself. One hop deep."""
+    """rows(member, rep): only resources that have been replaced; any other represents itself. One hop deep. n: how many,
+    where that was counted."""
 
-    def __init__(self, rows: DataFrame):
-        self.rows = rows
+    def __init__(self, rows: DataFrame, n: int | None = None):
+        self.rows, self.n = rows, n
 
     @classmethod
     def identity(cls, spark: SparkSession) -> RepMap:
-        return cls(empty(spark, "member long, rep long"))
+        return cls(empty(spark, "member long, rep long"), 0)
 
     def normalise(self, df: DataFrame, columns=("s", "p", "o")) -> DataFrame:
-        """df with each resource in columns replaced by its representative."""
-        return self._through(df, columns, self.rows)
+        """df with each resource in columns replaced by its representative; a map that was counted and is small enough is
+        broadcast, else rows travel to it, and a resource of very many rows is left to the adaptive skew join."""
+        if self.n == 0:
+            return df
+        return self._through(df, columns, F.broadcast(self.rows) if self.n is not None and self.n <= BROADCAST_ROWS else self.rows)
 
     @staticmethod
     def _through(df: DataFrame, columns, rows: DataFrame) -> DataFrame:
@@ -32,13 +39,17 @@ class RepMap:
             df = df.join(m, F.col(c) == F.col("_m"), "left").withColumn(c, F.coalesce("_r", c)).drop("_m", "_r")
         return df.select(*order)
 
-    def merge(self, edges: DataFrame, method: str = "star") -> tuple[RepMap, DataFrame]:
-        """Unite the ends of edges(u, v), which are representatives. Returns the new map and changed(member, rep): the
-        representatives that have been retired. The smallest of a clique stays, so the order of merging is of no matter."""
+    def merge(self, edges: DataFrame, method: str = "star") -> tuple[RepMap, DataFrame, int]:
+        """Unite the ends of edges(u, v), which are representatives. Returns the new map, changed(member, rep), the
+        representatives that have been retired, and their number. The smallest of a clique stays, so the order of merging
+        is of no matter."""
         comps = connected_components(edges, method)
-        changed = saved(comps.where("node <> comp").select(F.col("node").alias("member"), F.col("comp").alias("rep")), "changed")
-        moved = self._through(self.rows, ("rep",), changed)
-        return RepMap(saved(moved.unionByName(changed), "rep_map")), changed
+        changed, seen = counted(comps.where("node <> comp").select(F.col("node").alias("member"), F.col("comp").alias("rep")), "changed")
+        if self.n == 0:
+            return RepMap(changed, seen["n"]), changed, seen["n"]
+        moved = self._through(self.rows, ("rep",), F.broadcast(changed) if seen["n"] <= BROADCAST_ROWS else changed)
+        rows, all_ = counted(moved.unionByName(changed), "rep_map")
+        return RepMap(rows, all_["n"]), changed, seen["n"]
 
     def members(self, of: DataFrame | None = None) -> DataFrame:
         """(rep, member) with each representative as its own first member; ``of``(rep) adds resources that stand alone."""

@@ -8,6 +8,7 @@ from itertools import combinations, permutations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from eqmat.operators.facts import BUCKETS
 from eqmat.plans.rules import EQ_ID, Atom, Rule, Var
 
 INLINE = 8  # rules of one shape that are still planned one by one
@@ -76,20 +77,33 @@ def plans_of(spark: SparkSession, rules: list[Rule], inline: int = INLINE) -> li
     return out
 
 
-def match_atom(facts: DataFrame, atom: Atom) -> DataFrame:
-    """Bindings of one atom: a column v_<name> for each variable."""
+def atom_test(atom: Atom) -> str:
+    """When a fact(s, p, o) matches an atom, as SQL: its constants and repeated variables."""
     seen: dict[str, str] = {}
+    tests = []
     for c, t in zip("spo", atom.terms, strict=True):
         if not isinstance(t, Var):
-            facts = facts.where(F.col(c) == F.lit(int(t)))
+            tests.append(f"{c} = {int(t)}L")
         elif t.name in seen:
-            facts = facts.where(F.col(c) == F.col(seen[t.name]))
+            tests.append(f"{c} = {seen[t.name]}")
         else:
             seen[t.name] = c
-    return facts.select(*[F.col(c).alias(f"v_{v}") for v, c in seen.items()])
+    return " and ".join(tests) or "true"
+
+
+def match_atom(facts: DataFrame, atom: Atom) -> DataFrame:
+    """Bindings of one atom: a column v_<name> for each variable. A constant predicate also names the bucket in which
+    large layers keep it, so that only its folder is read."""
+    seen = {t.name: c for c, t in reversed(list(zip("spo", atom.terms, strict=True))) if isinstance(t, Var)}
+    test = atom_test(atom)
+    if not isinstance(atom.p, Var) and "pb" in facts.columns:
+        test += f" and pb = {int(atom.p) % BUCKETS}"
+    facts = facts if test == "true" else facts.where(test)
+    return facts.selectExpr(*[f"{seen[v]} as `v_{v}`" for v in atom.variables])
 
 
 def _joined(left: DataFrame, right: DataFrame) -> DataFrame:
+    """Atoms without a variable in common give all pairs: that is what such a body says, and its rows are its result."""
     shared = [c for c in left.columns if c in right.columns]
     return left.join(right, shared) if shared else left.crossJoin(right)
 
@@ -106,7 +120,7 @@ def _order(body: tuple[Atom, ...], start: int, bound: set[str]) -> list[int]:
 
 
 def head_of(bindings: DataFrame, head: Atom) -> DataFrame:
-    return bindings.select(*[(F.col(f"v_{t.name}") if isinstance(t, Var) else F.lit(int(t)).cast("long")).alias(c) for c, t in zip("spo", head.terms, strict=True)])
+    return bindings.selectExpr(*[f"`v_{t.name}` as {c}" if isinstance(t, Var) else f"{int(t)}L as {c}" for c, t in zip("spo", head.terms, strict=True)])
 
 
 def bind(body: tuple[Atom, ...], table: DataFrame | None, scans: list[DataFrame], pivot: int = 0) -> DataFrame:
@@ -154,12 +168,16 @@ def key_edges(plan: Plan, facts: DataFrame, delta: DataFrame | None = None, olde
     return found.join(least, key).where(F.col(x) != F.col("least")).select(F.col(x).alias("s"), F.lit(EQ_ID).cast("long").alias("p"), F.col("least").alias("o")).distinct()
 
 
-def rule_applications(plans: list[Plan], delta: DataFrame, facts: DataFrame, fresh: set[str]) -> DataFrame | None:
-    """(label, n): how often an atom of a rule meets a fact, before the rest of the body is looked at. A fresh rule meets
-    all facts with its first atom."""
-    parts = []
+def rule_applications(plans: list[Plan], delta: DataFrame, facts: DataFrame, fresh: set[str]) -> int:
+    """How often an atom of a rule meets a fact, before the rest of the body is looked at. A fresh rule meets all facts
+    with its first atom. One pass over the new facts, one over all where rules are fresh, and a join for each atom of a
+    shape of many rules."""
+    n = 0
+    for table, own in ((delta, [a for p in plans if p.table is None and p.label not in fresh for a in p.body]), (facts, [p.body[0] for p in plans if p.table is None and p.label in fresh and p.body])):
+        if own:
+            n += sum(table.agg(*[F.expr(f"count_if({atom_test(a)}) as n{i}") for i, a in enumerate(own)]).first())
     for p in plans:
-        for i, atom in enumerate(p.body[:1] if p.label in fresh else p.body):
-            found = match_atom(facts if p.label in fresh else delta, atom)
-            parts.append((found if p.table is None else _joined(p.table, found)).agg(F.count("*").alias("n")).select(F.lit(p.label).alias("label"), "n"))
-    return reduce(DataFrame.unionByName, parts) if parts else None
+        if p.table is not None:
+            for atom in p.body[:1] if p.label in fresh else p.body:
+                n += _joined(p.table, match_atom(facts if p.label in fresh else delta, atom)).count()
+    return n

@@ -5,15 +5,16 @@ from __future__ import annotations
 import time
 from dataclasses import dataclass, field
 from functools import reduce
+from itertools import count
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, Observation, SparkSession
 from pyspark.sql import functions as F
 
 from eqmat.operators import matcher
-from eqmat.operators.facts import KEYS, FactStore
+from eqmat.operators.facts import KEYS, FactStore, bucket
 from eqmat.operators.mapping import RepMap
 from eqmat.plans.rules import EQ_ID, NEQ_ID, Rule, equality_axioms, unique
-from eqmat.storage import saved
+from eqmat.storage import observed, saved
 
 
 class Contradiction(ValueError):
@@ -34,7 +35,8 @@ class Options:
     merge: bool = True
     by_key: bool = True  # while merging: n - 1 equalities for n resources with one key, not n * n
     on_contradiction: str = "report"  # or "raise"
-    most_rounds: int = 1000
+    most_rounds: int = 0  # an error beyond so many; 0: as many as it takes, for the fixpoint is finite
+    update_rules: str = "driver"  # or "join": the program as rows
     inline: int = matcher.INLINE
 
 
@@ -51,6 +53,7 @@ class Materialisation:
     seconds: float = 0.0
     options: Options = field(default_factory=Options)
     next_born: int = 0
+    neq: int = NEQ_ID  # what represents "is different from"
 
     def facts(self) -> DataFrame:
         """Live facts, with reflexive equalities also where they are virtual."""
@@ -76,17 +79,17 @@ def contradictions(facts: DataFrame, neq: int = NEQ_ID) -> DataFrame:
 
 
 def _heads(plans, fresh: set[str], facts: DataFrame, delta: DataFrame, older: DataFrame | None, by_key: bool) -> DataFrame | None:
-    """Derived facts with the label of their rule and n, the number of derivations. No older facts: all are new, and
-    every rule meets all of them once. ``by_key``: keyed equalities give edges to the least of a key, not pairs."""
+    """Derived facts, one row for each derivation, with the number of their rule among plans. No older facts: all are new,
+    and every rule meets all of them once. ``by_key``: keyed equalities give edges to the least of a key, not pairs."""
     parts = []
-    for p in plans:
+    for k, p in enumerate(plans):
         whole = older is None or p.label in fresh
         if by_key and p.half is not None:
             found = [matcher.key_edges(p, facts) if whole else matcher.key_edges(p, facts, delta, older)]
         else:
             found = [matcher.fresh_matches(p, facts)] if whole else matcher.delta_matches(p, facts, delta, older)
-        parts += [x.select(F.lit(p.label).alias("rule"), *KEYS) for x in found]
-    return reduce(DataFrame.unionByName, parts).groupBy("rule", *KEYS).agg(F.count("*").alias("n")) if parts else None
+        parts += [x.selectExpr(f"{k} as rule", *KEYS) for x in found]
+    return reduce(DataFrame.unionByName, parts) if parts else None
 
 
 def _labelled(plans: list[matcher.Plan]) -> list[matcher.Plan]:
@@ -98,92 +101,132 @@ def _labelled(plans: list[matcher.Plan]) -> list[matcher.Plan]:
     return plans
 
 
-def _inner_merge(mat: Materialisation, delta: DataFrame, k: int, row: dict) -> tuple[DataFrame, list[DataFrame]]:
-    """Merge the equalities of delta and rewrite facts until none is left: rewriting can make equalities itself, when a
-    predicate joins the clique of EQ. Returns all new facts of the round and what has been retired in it."""
-    opts, gone = mat.options, []
-    while True:
-        edges = saved(delta.where((F.col("p") == EQ_ID) & (F.col("s") != F.col("o"))).select(F.col("s").alias("u"), F.col("o").alias("v")), "edges")
-        if edges.limit(1).count() == 0:
-            return delta, gone
-        mat.rep_map, changed = mat.rep_map.merge(edges, opts.components)
+def _inner_merge(mat: Materialisation, delta: DataFrame, n_eq: int, k: int, row: dict) -> tuple[DataFrame, list[DataFrame], int]:
+    """Merge the n_eq equalities of delta and rewrite facts until none is left: rewriting can make equalities itself, when
+    a predicate joins the clique of EQ. Returns all new facts of the round, what has been retired in it, and how many of
+    the facts that rewriting made say of a resource that it differs from itself."""
+    opts, gone, clash = mat.options, [], 0
+    part = delta
+    while n_eq:
+        edges = part.where((F.col("p") == EQ_ID) & (F.col("s") != F.col("o"))).select(F.col("s").alias("u"), F.col("o").alias("v"))
+        mat.rep_map, changed, n_changed = mat.rep_map.merge(edges, opts.components)
         gone.append(changed)
-        row["merged"] = row.get("merged", 0) + changed.count()
-        layer, n, marked = mat.store.retire(changed, mat.rep_map, k, opts.retire)
+        row["merged"] = row.get("merged", 0) + n_changed
+        layer, seen, marked = mat.store.retire(changed, n_changed, mat.rep_map, k, mat.neq, opts.retire)
         row["marked"] = row.get("marked", 0) + marked
-        row["rewrites"] = row.get("rewrites", 0) + n
-        delta = saved(delta.join(mat.store.outdated(), KEYS, "left_anti").unionByName(layer), "delta")
+        row["rewrites"] = row.get("rewrites", 0) + seen["n"]
+        clash += seen["clash"]
+        n_eq, part = seen["eq"], layer
+    # What is new and live: facts born in this round.
+    return (mat.store.live().where(F.col("born") == k) if gone else delta), gone, clash
 
 
-def rewrite_rules(rules: list[Rule], changed: list[DataFrame], rep_map: RepMap) -> tuple[list[Rule], list[Rule]]:
+def rewrite_rules(rules: list[Rule], changed: list[DataFrame], rep_map: RepMap, method: str = "driver") -> tuple[list[Rule], list[Rule]]:
     """The program under the new map, and those of its rules that were not there before; equal rules collapse.
 
-    Only the constants that rules name are looked up, by one filtered read of the map: its size is that of the program,
-    which is also what the driver holds; the facts never come near it.
+    ``driver``: only the constants that rules name are looked up, by one filtered read of the map, and rules are rewritten
+    one after the other. ``join``: rules are rows of constants by shape, rewritten all at once by a join with what has
+    been retired; only rules that change come back. Facts come near neither.
     """
     if not changed or not rules:
         return rules, []
-    moved = rep_map.lookup({c for r in rules for c in r.constants})
-    new = unique(r.map(lambda c: moved.get(c, c)) for r in rules)
+    if method == "join":
+        new = _rewritten_by_join(rules, reduce(DataFrame.unionByName, changed), rep_map)
+    else:
+        moved = rep_map.lookup({c for r in rules for c in r.constants})
+        new = unique(r.map(lambda c: moved.get(c, c)) for r in rules)
     before = set(rules)
     return new, [r for r in new if r not in before]
 
 
+def rule_table(spark: SparkSession, rules: list[Rule]) -> DataFrame:
+    """rule, place, constant: a program as rows."""
+    return spark.createDataFrame([(i, j, int(c)) for i, r in enumerate(rules) for j, c in enumerate(r.constants)], "rule int, place int, constant long")
+
+
+def _rewritten_by_join(rules: list[Rule], changed: DataFrame, rep_map: RepMap) -> list[Rule]:
+    spark = changed.sparkSession
+    constants = rule_table(spark, rules)
+    touched = constants.join(changed.select(F.col("member").alias("constant")).distinct(), "constant", "left_semi")
+    moved = touched.join(rep_map.rows, F.col("constant") == F.col("member")).select("rule", "place", "rep")
+    to: dict[int, dict[int, int]] = {}
+    for r in moved.collect():  # at most the constants of the program
+        to.setdefault(r["rule"], {})[r["place"]] = r["rep"]
+    out = []
+    for i, rule in enumerate(rules):
+        if i in to:
+            places = iter(range(len(rule.constants)))
+            rule = rule.map(lambda c, own=to[i], places=places: own.get(next(places), c))
+        out.append(rule)
+    return unique(out)
+
+
 def _run(spark: SparkSession, facts: DataFrame, rules: list[Rule], opts: Options, mat: Materialisation | None = None) -> Materialisation:
-    """Rounds from facts on; ``mat``: a finished run that takes the facts in, with its own rules."""
+    """Rounds from facts on; ``mat``: a finished run that takes the facts in, with its own rules. A round is one write of
+    new facts, whose counts are taken while it writes, one pass for rule applications if they are measured, and, where
+    equalities are among the facts, the merge and the write of rewritten ones."""
     began = time.time()
     mat = mat or Materialisation(spark, FactStore(spark), RepMap.identity(spark), unique(rules), options=opts)
     rules, start = mat.rules, mat.next_born
-    delta, n = mat.store.add(mat.rep_map.normalise(facts.select(*KEYS)) if start else facts, start)
-    if start and not n:
+    delta, seen = mat.store.add(mat.rep_map.normalise(facts.select(*KEYS)) if start else facts, start, mat.neq)
+    if start and not seen["n"]:
         return mat
     eq_in_bodies = any(t == EQ_ID for r in rules for a in r.body for t in a.terms) or any(hasattr(a.p, "name") for r in rules for a in r.body)
     found = [mat.contradictions] if mat.contradictions is not None else []
-    for k in range(start, start + opts.most_rounds):
-        row: dict = {"round": k, "delta": n, "delta_total": n}
+    for k in range(start, start + opts.most_rounds) if opts.most_rounds else count(start):
+        row: dict = {"round": k, "delta": seen["n"], "delta_total": seen["n"]}
         gone: list[DataFrame] = []
+        clash = seen["clash"]
         if opts.merge:
-            delta, gone = _inner_merge(mat, delta, k, row)
-        if gone and opts.rewrite_rules:
-            t = time.time()
-            mat.rules, fresh_rules = rewrite_rules(mat.rules, gone, mat.rep_map)
-            row["rule_update_seconds"] = time.time() - t
-        else:
-            fresh_rules = []
+            delta, gone, more = _inner_merge(mat, delta, seen["eq"], k, row)
+            clash += more
+        fresh_rules: list[Rule] = []
+        if gone:
+            neq = mat.rep_map.lookup([NEQ_ID])[NEQ_ID]
+            if neq != mat.neq:
+                mat.neq, clash = neq, 1  # facts that were harmless before may not be now: look at all
+            if opts.rewrite_rules:
+                t = time.time()
+                mat.rules, fresh_rules = rewrite_rules(mat.rules, gone, mat.rep_map, opts.update_rules)
+                row["rule_update_seconds"] = time.time() - t
         row["fresh_rules"] = len(fresh_rules)
-        neq = mat.rep_map.lookup([NEQ_ID])[NEQ_ID] if gone or k == start else neq
-        clash = contradictions(mat.store.live() if gone else delta, neq)
-        if clash.limit(1).count():
-            mat.consistent = False
-            found.append(clash)
-            if opts.on_contradiction == "raise":
-                raise Contradiction("a resource differs from itself")
         live = mat.store.live()
+        if clash:
+            own = contradictions(live, mat.neq)
+            if not own.isEmpty():
+                mat.consistent = False
+                found.append(saved(own, "clash"))
+                if opts.on_contradiction == "raise":
+                    raise Contradiction("a resource differs from itself")
         plans = _labelled(matcher.plans_of(spark, [r for r in mat.rules if r not in set(fresh_rules)], opts.inline))
         new_plans = _labelled(matcher.plans_of(spark, fresh_rules, opts.inline))
         for p in new_plans:
             p.label = f"{p.label} (rewritten in round {k})"
-        fresh = {p.label for p in new_plans}
-        seen = live if opts.reflexive == "stored" or not opts.merge or not eq_in_bodies else live.unionByName(reflexive_facts(live).withColumn("born", F.lit(k))).dropDuplicates(KEYS)
+        every, fresh = plans + new_plans, {p.label for p in new_plans}
+        visible = live if opts.reflexive == "stored" or not opts.merge or not eq_in_bodies else live.unionByName(reflexive_facts(live).withColumns({"born": F.lit(k), "pb": bucket(F.col("p"))})).dropDuplicates(KEYS)
         older = live.where(F.col("born") < k) if k else None
-        if opts.measure and (counted := matcher.rule_applications(plans + new_plans, delta, seen, fresh)) is not None:
-            row["rule_applications"] = counted.agg(F.sum("n")).first()[0] or 0
-        heads = _heads(plans + new_plans, fresh, seen, delta, older, opts.merge and opts.by_key)
-        candidates = []
+        if opts.measure and every:
+            row["rule_applications"] = matcher.rule_applications(every, delta, visible, fresh)
+        heads = _heads(every, fresh, visible, delta, older, opts.merge and opts.by_key)
+        candidates, fired = [], Observation()
         if heads is not None:
-            heads = saved(heads, "heads")
-            for r in heads.groupBy("rule").agg(F.sum("n").alias("n")).collect():
-                mat.by_rule[r["rule"]] = mat.by_rule.get(r["rule"], 0) + r["n"]
-                row["derivations"] = row.get("derivations", 0) + r["n"]
-            candidates.append(heads.select(*KEYS))
+            counts = [F.count_if(F.col("rule") == i).alias(f"r{i}") for i in range(len(every))]
+            candidates.append(heads.observe(fired, *counts).select(*KEYS))
         if opts.merge and opts.reflexive == "stored":
             candidates.append(reflexive_facts(delta))
         mat.rounds.append(row)
         if not candidates:
             break
         both = reduce(DataFrame.unionByName, candidates)
-        delta, n = mat.store.add(mat.rep_map.normalise(both) if opts.merge else both, k + 1)
-        if not n:
+        delta, seen = mat.store.add(mat.rep_map.normalise(both) if opts.merge else both, k + 1, mat.neq)
+        if heads is not None:
+            n = observed(fired)
+            if not n and opts.measure:  # nothing was new, so the planner gave up the part that was observed
+                n = {f"r{r['rule']}": r["count"] for r in heads.groupBy("rule").count().collect()}
+            for i, p in enumerate(every):
+                mat.by_rule[p.label] = mat.by_rule.get(p.label, 0) + n.get(f"r{i}", 0)
+                row["derivations"] = row.get("derivations", 0) + n.get(f"r{i}", 0)
+        if not seen["n"]:
             break
     else:
         raise RuntimeError("materialisation: more rounds than allowed")

@@ -13,7 +13,7 @@ from eqmat.operators.materialise import Materialisation
 def measures(mat: Materialisation) -> dict[str, float]:
     """The cost measures of one run by name."""
     before = mat.rounds[0]["delta"] if mat.rounds else 0
-    live, total = mat.store.live().count(), mat.store.everything().count()
+    live, total = mat.store.total_live(), mat.store.total()
     derived = mat.total("derivations")
     return {
         "triples_before": before,
