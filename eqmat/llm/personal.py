@@ -58,9 +58,11 @@ TOKEN = "|".join([
 ])
 _CAP = r"\p{Lu}[\p{L}'’\-]+"
 _TITLE = "(?:" + "|".join([*TITLES.values(), *[w.upper() for t in TITLES.values() for w in t.split("|") if w.isalpha() and len(w) > 1]]) + r")\.? "
-PERSON = rf"(?<!\p{{L}}){_TITLE}{_CAP}(?: {_CAP}){{0,2}}"
+#: A title is looked for only where a letter stands that one begins with.
+_TITLED = f"(?=[{''.join(sorted({c for t in TITLES.values() for w in t.split('|') for c in (w[1:3] if w[0] == '[' else w[0])}))}])" + r"(?<!\p{L})" + _TITLE
+PERSON = rf"{_TITLED}{_CAP}(?: {_CAP}){{0,2}}"
 #: What every entity has: a text without any of it needs no closer look.
-SIGN = rf"[0-9@]|PRIVATE KEY-----|{_TITLE}\p{{Lu}}"
+SIGN = rf"[0-9@]|PRIVATE KEY-----|{_TITLED}\p{{Lu}}"
 TYPES = {"email": EMAIL, "secret": SECRET, "ip": IP, "iban": IBAN, "phone": PHONE, "ssn": SSN, "card": CARD, "token": TOKEN, "person": PERSON}
 PATTERN = "|".join(f"(?:{p})" for p in TYPES.values())
 WIDER_AFTER = 6  # attempts within a form before it grows
