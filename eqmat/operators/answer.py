@@ -106,35 +106,92 @@ class Answering:
         t = self.terms.where(F.col("lexical").isin(list(node.names))).select(F.col("id").alias(f"v_{node.var}"), F.lit(1).cast("long").alias("weight"))
         return Solutions(t, {node.var: UNFOLDED})
 
-    def _both(self, node) -> tuple[Solutions, Solutions, list[str]]:
+    def _loose(self, node: q.Node) -> set[str]:
+        """Variables that an answer of a tree may leave unbound."""
+        if isinstance(node, (q.Pattern, q.Values)):
+            return set()
+        if isinstance(node, (q.Join, q.Optional, q.Minus, q.Union)):
+            left, right = self._loose(node.left), self._loose(node.right)
+            mine, other = self.names(node.left), self.names(node.right)
+            if isinstance(node, q.Minus):
+                return left
+            if isinstance(node, q.Union):
+                return left | right | (mine ^ other)
+            if isinstance(node, q.Optional):
+                return left | (other - mine)
+            return (left - other) | (right - mine) | (left & right)
+        inner = self._loose(node.of) if not isinstance(node, q.Group) else self._loose(node.of) & set(node.keys)
+        return inner & self.names(node)
+
+    def names(self, node: q.Node) -> set[str]:
+        """Variables that a tree may bind."""
+        if isinstance(node, q.Pattern):
+            return {v for a in node.atoms for v in a.variables}
+        if isinstance(node, q.Values):
+            return {node.var}
+        if isinstance(node, q.Minus):
+            return self.names(node.left)
+        if isinstance(node, (q.Join, q.Optional, q.Union)):
+            return self.names(node.left) | self.names(node.right)
+        if isinstance(node, q.Project):
+            return set(node.names)
+        if isinstance(node, q.Group):
+            return {*node.keys, *[name for name, _ in node.counts]}
+        return self.names(node.of) | ({node.var} if isinstance(node, q.Bind) else set())
+
+    def _both(self, node) -> tuple[Solutions, Solutions, list[str], list[str]]:
+        """Both sides in one state, their shared variables, and those of them that either side may leave unbound."""
         a, b = self.run(node.left), self.run(node.right)
         shared = [v for v in a.state if v in b.state]
-        return *self._align(a, b, shared), shared
+        loose = self._loose(node.left) | self._loose(node.right)
+        return *self._align(a, b, shared), shared, [v for v in shared if v in loose]
 
-    def _join(self, node: q.Join) -> Solutions:
-        a, b, shared = self._both(node)
-        right = b.df.withColumnRenamed("weight", "_w")
-        keys = [f"v_{v}" for v in shared]
-        df = a.df.join(right, keys) if keys else a.df.crossJoin(right)
-        return Solutions(df.withColumn("weight", F.col("weight") * F.col("_w")).drop("_w"), {**b.state, **a.state})
+    @staticmethod
+    def _renamed(df: DataFrame, shared: list[str]) -> DataFrame:
+        return df.select(*[F.col(c).alias(f"_b{c}" if c[2:] in shared else "_w" if c == "weight" else c) for c in df.columns])
+
+    @staticmethod
+    def _compatible(shared: list[str], loose: list[str]) -> Column:
+        """Equal in every shared variable that both have bound; an unbound one agrees with anything. What is surely bound
+        stays an equality, so that the join is by key."""
+        out = F.lit(True)
+        for v in shared:
+            x, y = F.col(f"v_{v}"), F.col(f"_bv_{v}")
+            out = out & ((x == y) | x.isNull() | y.isNull() if v in loose else x == y)
+        return out
+
+    def _join(self, node: q.Join, how: str = "inner") -> Solutions:
+        a, b, shared, loose = self._both(node)
+        df = a.df.join(self._renamed(b.df, shared), self._compatible(shared, loose), how)
+        df = df.withColumn("weight", F.col("weight") * F.coalesce("_w", F.lit(1))).drop("_w")
+        merged = [F.coalesce(f"v_{v}", f"_bv_{v}").alias(f"v_{v}") if v in loose else F.col(f"v_{v}") for v in shared]
+        rest = [c for c in df.columns if not c.startswith("_bv_") and c[2:] not in shared]
+        return Solutions(df.select(*merged, *rest), {**b.state, **a.state})
 
     def _optional(self, node: q.Optional) -> Solutions:
-        a, b, shared = self._both(node)
-        right = b.df.withColumnRenamed("weight", "_w")
-        df = a.df.join(right, [f"v_{v}" for v in shared], "left") if shared else a.df.join(right, F.lit(True), "left")
-        return Solutions(df.withColumn("weight", F.col("weight") * F.coalesce("_w", F.lit(1))).drop("_w"), {**b.state, **a.state})
+        return self._join(node, "left")
 
     def _minus(self, node: q.Minus) -> Solutions:
-        a, b, shared = self._both(node)
-        return Solutions(a.df.join(b.df, [f"v_{v}" for v in shared], "left_anti") if shared else a.df, a.state)
+        """An answer goes if one on the right agrees with it and both bind some variable."""
+        a, b, shared, loose = self._both(node)
+        if not shared:
+            return a
+        common = F.lit(False)
+        for v in shared:
+            common = common | (F.col(f"v_{v}").isNotNull() & F.col(f"_bv_{v}").isNotNull())
+        test = self._compatible(shared, loose) & (common if set(shared) == set(loose) else F.lit(True))
+        return Solutions(a.df.join(self._renamed(b.df, shared).select(*[f"_bv_{v}" for v in shared]), test, "left_anti"), a.state)
 
     def _union(self, node: q.Union) -> Solutions:
-        a, b, _ = self._both(node)
+        a, b, _, _ = self._both(node)
         return Solutions(a.df.unionByName(b.df, allowMissingColumns=True), {**b.state, **a.state})
 
     def _filter(self, node: q.Filter) -> Solutions:
         s = self.run(node.of)
         read = [a.name for a in node.args if isinstance(a, Var)]
+        if node.fn in ("bound", "unbound"):  # a representative is bound if its members are
+            test = F.col(f"v_{read[0]}").isNotNull() if read[0] in s.state else F.lit(False)
+            return Solutions(s.df.where(test if node.fn == "bound" else ~test), s.state)
         if node.fn == "same" and len(read) == 1 and s.state[read[0]] == FOLDED and not self.posthoc:
             name = next(a for a in node.args if not isinstance(a, Var))
             ids = lookup(self.terms, [name])
@@ -166,7 +223,7 @@ class Answering:
         s = self.run(node.of)
         read = [spec[1] for _, spec in node.counts if spec[0] not in ("count", "count_distinct")]
         s = self.unfold(s, read)
-        df, out = s.df, []
+        df = s.df
         for v, state in s.state.items():
             if state == FOLDED and v not in node.keys and not self.posthoc:
                 df = self._sized(df, v)
@@ -177,14 +234,20 @@ class Answering:
             elif v in read and s.state[v] != VALUE:
                 t = self.terms.select(F.col("id").alias(f"_i{v}"), F.col("num").alias(f"_t{v}"))
                 df = df.join(t, F.col(f"v_{v}") == F.col(f"_i{v}"), "left")
-        keys, later = [f"v_{k}" for k in node.keys], []
+        keys = [f"v_{k}" for k in node.keys]
+        plain = [self._aggregate(name, spec, s) for name, spec in node.counts if spec[0] != "count_distinct"]
+        got = df.groupBy(*keys).agg(*plain or [F.count("*").alias("_rows")])
         for name, spec in node.counts:
-            out.append(self._aggregate(name, spec, s))
-            if spec[0] == "count_distinct" and s.state[spec[1]] == FOLDED and not self.posthoc:
-                later.append(name)
-        got = df.groupBy(*keys).agg(*out)
-        for name in later:  # a set of (representative, size): its sizes are added
-            got = got.withColumn(f"v_{name}", F.aggregate(f"v_{name}", F.lit(0).cast("long"), lambda acc, x: acc + x["n"]))
+            if spec[0] == "count_distinct":  # first each value once a group, then the sizes of what it stands for
+                v = f"v_{spec[1]}"
+                size = F.coalesce(F.col(f"_n{spec[1]}"), F.lit(1)).cast("long") if s.state[spec[1]] == FOLDED and not self.posthoc else F.lit(1).cast("long")
+                each = df.select(*keys, F.col(v).alias("_x"), size.alias("_n")).where("_x is not null").distinct()
+                sums = each.groupBy(*keys).agg(F.sum("_n").alias(f"v_{name}"))
+                both = [F.col(f"_k{k}").eqNullSafe(F.col(k)) for k in keys]
+                sums = sums.select(*[F.col(k).alias(f"_k{k}") for k in keys], f"v_{name}")
+                got = got.join(sums, reduce(lambda x, y: x & y, both) if both else F.lit(True), "left").drop(*[f"_k{k}" for k in keys])
+                got = got.withColumn(f"v_{name}", F.coalesce(f"v_{name}", F.lit(0).cast("long")))
+        got = got.select(*keys, *[f"v_{name}" for name, _ in node.counts])
         return Solutions(got.withColumn("weight", F.lit(1).cast("long")), {**{k: s.state[k] for k in node.keys}, **{name: VALUE for name, _ in node.counts}})
 
     @staticmethod
@@ -192,11 +255,6 @@ class Answering:
         if spec[0] == "count":
             return F.coalesce(F.sum("weight"), F.lit(0)).alias(f"v_{name}")
         v = spec[1]
-        if spec[0] == "count_distinct":
-            c = F.col(f"v_{v}")
-            if s.state[v] == FOLDED:
-                return F.collect_set(F.struct(c.alias("r"), F.coalesce(F.col(f"_n{v}"), F.lit(1)).cast("long").alias("n"))).alias(f"v_{name}")
-            return F.countDistinct(c).alias(f"v_{name}")
         value = F.col(f"v_{v}").cast("double") if s.state[v] == VALUE else F.col(f"_t{v}")
         w = F.col("weight")
         total, n = F.sum(value * w), F.sum(F.when(value.isNotNull(), w))
@@ -205,20 +263,32 @@ class Answering:
     def _rows(self, s: Solutions) -> Solutions:
         """Everything unfolded, every answer a row of its own."""
         s = self.unfold(s, list(s.state))
-        df = s.df.withColumn("_again", F.explode(F.sequence(F.lit(1), F.col("weight")))).drop("_again").withColumn("weight", F.lit(1).cast("long"))
-        return Solutions(df, s.state)
+        return Solutions(self._replicated(s.df), s.state)
 
-    def _order(self, node: q.Order) -> Solutions:
-        s = self._rows(self.run(node.of))
+    @staticmethod
+    def _replicated(df: DataFrame) -> DataFrame:
+        return df.withColumn("_again", F.explode(F.sequence(F.lit(1).cast("long"), F.col("weight").cast("long")))).drop("_again").withColumn("weight", F.lit(1).cast("long"))
+
+    def _order(self, node: q.Order, most: int | None = None) -> Solutions:
+        """Sorted answers; with ``most``, only rows that can be among the first so many, and no row counts for more."""
+        s = self.run(node.of)
+        s = self.unfold(s, list(s.state))
         df = self._named(s)
         keys = [F.desc(f"v_{k[1:]}") if k[0] == "-" else F.asc(f"v_{k}") for k in node.keys]
-        rest = [F.asc(c) for c in sorted(df.columns) if c not in {f"v_{k.lstrip('-')}" for k in node.keys}]
+        rest = [F.asc(c) for c in sorted(df.columns) if c not in {f"v_{k.lstrip('-')}" for k in node.keys} and c != "weight"]
+        if most is not None:  # each row stands for one answer at least
+            df = df.orderBy(*keys, *rest).limit(most).withColumn("weight", F.least("weight", F.lit(most)))
+        df = self._replicated(df)
         return Solutions(df.orderBy(*keys, *rest), {v: VALUE for v in s.state})
 
     def _slice(self, node: q.Slice) -> Solutions:
-        s = self.run(node.of)
-        if not isinstance(node.of, q.Order):
-            s = self._rows(s)
+        most = node.n + node.offset
+        if isinstance(node.of, q.Order):
+            s = self._order(node.of, most)
+        else:
+            s = self.run(node.of)
+            s = self.unfold(s, list(s.state))
+            s = Solutions(self._replicated(s.df.limit(most).withColumn("weight", F.least("weight", F.lit(most)))), s.state)
         return Solutions(s.df.offset(node.offset).limit(node.n) if node.offset else s.df.limit(node.n), s.state)
 
     # Results
