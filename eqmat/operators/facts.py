@@ -64,11 +64,11 @@ class FactStore:
         return new.join(self.everything().select(*KEYS), KEYS, "left_anti") if self.layers else new
 
     def _layer(self, df: DataFrame, expected: int = 0, **watch) -> tuple[DataFrame, dict]:
-        df = df.withColumn("pb", bucket(F.col("p")))
+        df = df.select(*KEYS, "born", bucket(F.col("p")).alias("pb"))
         if expected >= BUCKETED_FROM:  # hot predicates are dealt by subject too
             df = df.repartition("pb", F.pmod(F.xxhash64("s"), F.lit(BUCKETS)))
         layer, seen = counted(df.sortWithinPartitions("p", "s"), "layer", partition_by=["pb"] if expected >= BUCKETED_FROM else None, **watch)
-        return layer.select("s", "p", "o", "born", "pb"), seen
+        return layer, seen
 
     def add(self, candidates: DataFrame, born: int, neq: int = 2, expected: int = 0) -> tuple[DataFrame, dict[str, int]]:
         """Write the absent ones as facts born in a round; returns them and counts: n, eq (equalities of two resources)
@@ -111,7 +111,8 @@ class FactStore:
         old, seen = counted(both, "marked")
         if not seen["n"]:
             return old.select(*KEYS).withColumn("born", F.lit(born)).withColumn("pb", bucket(F.col("p"))).limit(0), {"n": 0, "eq": 0, "clash": 0}, 0
-        self.marked.append((old.select(*[F.col(f"{c}_was").alias(c) for c in KEYS]), seen["n"]))
+        gone, _ = counted(old.select(*[F.col(f"{c}_was").alias(c) for c in KEYS]), "marked")
+        self.marked.append((gone, seen["n"]))
         layer, new = self.add(old.select(*KEYS), born, neq)
         return layer, new, seen["n"]
 

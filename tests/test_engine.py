@@ -2,6 +2,7 @@ import random
 from collections import Counter
 
 import pytest
+from pyspark.sql import functions as F
 
 from eqmat import workloads as W
 from eqmat.components import connected_components
@@ -276,6 +277,72 @@ def test_stream_of_files(spark, tmp_path):
     assert decode(live.mat.rep_map.rows, live.terms, ["member", "rep"]).where("member in ('a','b','c')").count() == 2
 
 
+def test_stream_goes_on_after_a_restart(spark, tmp_path):
+    """A second driver that knows only the folder: what came before it is still there, and a rule rewritten before holds."""
+    from eqmat.streaming.incremental import LiveMaterialisation, materialise_stream
+
+    rows = [("a", "key", "1"), ("b", "key", "1"), ("b", "likes", "x"), ("c", "key", "2"), ("d", "key", "2"), ("a", "key", "2")]
+    rules = parse_rules("?x = ?y <- ?x key ?k, ?y key ?k\n?x seen b <- b likes ?x")[0]
+    given, state = str(tmp_path / "in"), "file://" + str(tmp_path / "state")
+    for part in (rows[:2], rows[2:4], rows[4:]):
+        spark.createDataFrame(part, "s string, p string, o string").coalesce(1).write.mode("append").parquet(given)
+        live = LiveMaterialisation(spark, rules, state=state)
+        stream = spark.readStream.schema("s string, p string, o string").parquet(given)
+        materialise_stream(stream, lambda df: df, live, str(tmp_path / "checkpoint")).awaitTermination()
+    assert live.last_batch == 2
+    whole = W.run(W.Workload("all", constants(spark, rows), rules))
+    named = lambda mat, terms: {tuple(r) for r in decode(expand(mat.facts(), mat.rep_map), terms, ["s", "p", "o"]).collect()}
+    assert named(live.mat, live.terms) == named(whole.mat, whole.terms)
+    again = LiveMaterialisation(spark, rules, state=state)
+    again.on_batch(constants(spark, rows[:1]), 2)  # delivered again
+    assert named(again.mat, again.terms) == named(live.mat, live.terms)
+
+
+def test_layers_by_predicate_and_size(spark, monkeypatch):
+    """Small limits: folders by predicate are pruned, layers are merged, marked facts are dropped, the closure stays."""
+    from eqmat.operators import facts as store
+
+    monkeypatch.setattr(store, "BUCKETED_FROM", 3)
+    monkeypatch.setattr(store, "MOST_LAYERS", 2)
+    given = {(i, 20, i + 1) for i in range(10, 16)} | {(10, EQ_ID, 30), (31, 21, 30), (31, 21, 10)}
+    rules = [r.map(int) for r in parse_rules("?x 20 ?z <- ?x 20 ?y, ?y 20 ?z")[0]]
+    mat = materialise_rewriting(spark, facts_df(spark, given), rules, FAST)
+    assert closed(mat) == closure(given, [*rules, *equality_axioms(EQ_ID)])
+    assert len(mat.store.layers) <= 3 and mat.store.total_live() == mat.facts().count()
+    from eqmat.operators.matcher import match_atom
+
+    plan = match_atom(mat.store.layers[-1][0], Atom(Var("x"), 20, Var("y")))._jdf.queryExecution().executedPlan().toString()
+    assert "PushedFilters" in plan and "EqualTo(p,20)" in plan
+    whole = mat.store.compact()
+    assert {tuple(r) for r in whole.select("s", "p", "o").collect()} == {tuple(r) for r in mat.facts().collect()}
+
+
+def test_no_retired_fact_comes_back(spark):
+    """A rule derives again and again what holds a replaced resource; it is found in its normal form alone."""
+    given = {(10, 20, 11), (11, EQ_ID, 12), (12, EQ_ID, 13), (10, 21, 13)}
+    rules = [r.map(int) for r in parse_rules("?x 20 13 <- ?x 21 ?y\n?x 21 12 <- ?x 20 ?y")[0]]
+    mat = materialise_rewriting(spark, facts_df(spark, given), rules, FAST)
+    assert not any(x in (12, 13) for f in mat.facts().collect() for x in f)
+    assert closed(mat) == closure(given, [*rules, *equality_axioms(EQ_ID)])
+
+
+def test_program_as_rows(spark):
+    given = {(10, 20, 11), (11, EQ_ID, 12), (13, 20, 12)}
+    rules = [r.map(lambda c: EQ_ID if c == "=" else int(c)) for r in parse_rules("?x = 13 <- ?x 20 12\n?x 21 12 <- ?x 20 11")[0]]
+    a, b = (materialise_rewriting(spark, facts_df(spark, given), rules, Options(measure=False, update_rules=m)) for m in ("driver", "join"))
+    assert closed(a) == closed(b) == closure(given, [*rules, *equality_axioms(EQ_ID)]) and set(a.rules) == set(b.rules)
+
+
+def test_as_of_and_windows(spark):
+    from eqmat.streaming.incremental import as_of, events_per_window
+
+    e = spark.createDataFrame([(1, 1, "2024-01-01 10:00:00"), (1, 2, "2024-01-03 10:00:00"), (2, 3, "2024-01-01 10:00:00")], "user_id long, event_id long, ts string").withColumn("ts", F.to_timestamp("ts"))
+    f = spark.createDataFrame([(1, "2024-01-01 09:00:00", "a"), (1, "2024-01-01 10:00:00", "b"), (1, "2024-01-01 11:00:00", "c"), (2, "2024-01-02 00:00:00", "d")], "user_id long, ts string, value string").withColumn("ts", F.to_timestamp("ts"))
+    assert {(r["event_id"], r["value"]) for r in as_of(e, f).collect()} == {(1, "b"), (2, "c"), (3, None)}
+    for kind in ("tumbling", "sliding", "session"):
+        assert events_per_window(e, kind).agg(F.sum("n")).first()[0] >= 3
+
+
 def test_keyed_equalities_are_found():
     def half(text):
         rule = parse_rules(text)[0][0].map(lambda c: EQ_ID if c == "=" else hash(c))
