@@ -148,22 +148,27 @@ def _training_windows(rows: list[tuple[str, str]], labels: list[str], per_doc: i
 
 def balanced_sample(rows: DataFrame, label: str, key: str, per_label: int, seed: int = 11) -> DataFrame:
     """About ``per_label`` rows of each label, picked by a hash of the key: a count of labels and one filtered scan."""
-    counts = {r[0]: r[1] for r in rows.groupBy(label).count().collect() if r[0] is not None}
-    share = F.lit(0.0)
-    for value, n in counts.items():
-        share = F.when(F.col(label) == F.lit(value), F.lit(min(1.0, per_label / n))).otherwise(share)
+    counts = [(r[0], r[1]) for r in rows.groupBy(label).count().collect() if r[0] is not None]
+    if not counts:
+        return rows.where(F.lit(False))
+    shares = F.map_from_arrays(F.array(*(F.lit(value) for value, _ in counts)), F.array(*(F.lit(min(1.0, per_label / n)) for _, n in counts)))
+    share = F.element_at(shares, F.col(label))
     return rows.where(F.pmod(F.xxhash64(F.lit(seed), F.col(key)), F.lit(1_000_000)) < share * 1_000_000)
 
 
-def train(docs: DataFrame, docs_per_label: int = 250, windows_per_doc: int = 6, most_labels: int = 500, epochs: int = 10) -> ByteGRU:
+def train(docs: DataFrame, docs_per_label: int = 250, windows_per_doc: int = 6, most_docs: int = 125_000, epochs: int = 10) -> ByteGRU:
     """Fit on a bounded sample of docs(doc_id, text, lang) with a lang: about ``docs_per_label`` documents of each
-    language and ``windows_per_doc`` windows of each of them, wherever they stand in the text. Languages beyond the
-    ``most_labels`` with the most documents are not learned, so predict() never gives them; keep_known() keeps their
-    rows. Rows of one doc_id (repeated rows, null ids) are picked
-    together and teach one text, the least of each language."""
+    language and ``windows_per_doc`` windows of each of them, wherever they stand in the text. Every language is learned:
+    where there are so many that this would pass ``most_docs`` in all, each gives fewer documents, though never less
+    than about one. Rows of one doc_id (repeated rows, null ids) are picked together and teach one text, the least of
+    each language; a language of which the hash picked none gives its least text."""
     known = docs.where("lang is not null and text is not null and length(text) > 0").select("doc_id", "text", "lang")
-    common = [r[0] for r in known.groupBy("lang").count().orderBy(F.desc("count"), "lang").limit(most_labels).collect()]
-    picked = balanced_sample(known.where(F.col("lang").isin(common)), "lang", "doc_id", docs_per_label).groupBy("lang", "doc_id").agg(F.min("text").alias("text")).collect() if common else []
+    langs = [r[0] for r in known.select("lang").distinct().collect()]
+    per_label = max(1, min(docs_per_label, most_docs // max(len(langs), 1)))
+    picked = balanced_sample(known, "lang", "doc_id", per_label).groupBy("lang", "doc_id").agg(F.min("text").alias("text")).collect() if langs else []
+    if missed := set(langs) - {r["lang"] for r in picked}:
+        wanted = F.array_contains(F.array(*map(F.lit, sorted(missed))), F.col("lang"))
+        picked += known.where(wanted).groupBy("lang").agg(F.min_by("doc_id", "text").alias("doc_id"), F.min("text").alias("text")).collect()
     rows = [(r["text"], r["lang"]) for r in sorted(picked, key=lambda r: (r["doc_id"] is None, r["doc_id"] or 0, r["text"]))]
     model = ByteGRU(sorted({lang for _, lang in rows}) or [NO_LANGUAGE])
     if rows and len(model.labels) > 1:
@@ -202,7 +207,7 @@ def keep_known(docs: DataFrame, model: ByteGRU, least: float = 0.3) -> DataFrame
     """The rows of docs whose text has a language that the model gives at least ``least``; columns as they were.
 
     A text with a letter also stays where the model cannot judge it: where it has learned no language at all (no row had
-    a lang to learn from), and where the row's own lang is none of those learned (see ``most_labels``)."""
+    a lang to learn from), and where the row's own lang is none of those learned."""
     names = docs.columns
     found = (F.col("lang_pred") != NO_LANGUAGE) & (F.col("score") >= least)
     letter = F.coalesce(F.col("text").rlike(r"\p{L}"), F.lit(False))

@@ -22,7 +22,8 @@ _WORD = re.compile(r"[^\W_]+(?:[@$!*][^\W_]+)*")
 #: Words that report speech, and marks that open or close a quotation.
 REPORTING = frozenset("said says wrote writes called calls quote quoted quotes term word phrase insult insults comment posted reported dijo escribió sagte schrieb dit écrit".split())
 QUOTES = frozenset("\"“”„«»‹›")
-STEMS = (4, 5, 6)  # lengths of stems that are learned
+STEMS = range(4, 9)  # lengths of stems that are learned
+BEGUN = 3  # what a word gets that is near no whole term and goes on after a stem
 SPAN = 60  # characters of context on either side of a hit
 
 
@@ -34,7 +35,7 @@ class LexiconAutomaton:
     """Finds the least number of edits between a word and any term, within the edits that the term allows."""
 
     def __init__(self, terms: list[str]):
-        """A term with * at its end is a stem: it takes no edits, and any word that goes on after it is a hit."""
+        """A term with * at its end is a stem: it takes no edits, and any word that goes on after it is begun by it."""
         self.child: list[dict[str, int]] = [{}]
         self.ends: list[int] = [-1]  # edits allowed by the term that ends here; -1: none ends here
         self.most: list[int] = [0]  # largest number of edits allowed by any term at or below
@@ -94,30 +95,33 @@ class LexiconAutomaton:
         return self._state(after)
 
     def edits(self, word: str) -> int:
-        """-1 if no term is near enough."""
-        state, steps, alphabet, done = self.start, self.steps, self.alphabet, self.done
+        """BEGUN if no whole term is near enough but a stem begins the word, -1 if neither."""
+        state, steps, alphabet, done, other = self.start, self.steps, self.alphabet, self.done, -1
         for c in word:
             if done[state]:
-                return 0
+                other = BEGUN
             if c not in alphabet:
                 c = ""
             to = steps[state].get(c)
             if to is None:
                 to = steps[state][c] = self._step(state, c)
             if not to:
-                return -1
+                return other
             state = to
-        return self.accept[state]
+        return self.accept[state] if self.accept[state] >= 0 else other
 
 
 class ToxicityModel:
-    """Lexicon, words that only look like a term, and the weights of a logistic regression on counts of hits."""
+    """Lexicon, words that only look like a term, and the weights of a logistic regression on counts of hits.
 
-    FEATURES = ("exact", "one_edit", "two_edits", "quoted")
+    A single word that a stem begins tells nothing, as chance brings one into a long text; the ones after it count."""
+
+    FEATURES = ("exact", "one_edit", "two_edits", "begun", "quoted")
+    PRIOR = (4.0, 1.5, 0.5, 4.0, 0.2)
 
     def __init__(self, terms: list[str], harmless: set[str] | frozenset[str] = frozenset(), weights: np.ndarray | None = None, bias: float = -3.0):
         self.terms, self.harmless = sorted(terms), frozenset(harmless)
-        self.weights = np.array([4.0, 1.5, 0.5, 0.2]) if weights is None else weights
+        self.weights = np.array(self.PRIOR) if weights is None else weights
         self.bias, self.auto = bias, LexiconAutomaton(self.terms)
 
     def __reduce__(self):
@@ -137,11 +141,12 @@ class ToxicityModel:
             return True
         return not REPORTING.isdisjoint(before.split()[-6:]) or not REPORTING.isdisjoint(after.split()[:6])
 
-    def features(self, texts: list[str | None]) -> np.ndarray:
+    def counts(self, texts: list[str | None]) -> np.ndarray:
+        """Hits of each kind for each text."""
         low = [(t or "").lower() for t in texts]
         words = [_WORD.findall(t) for t in low]
         hits = self.word_edits(set().union(*words)) if words else {}
-        out = np.zeros((len(texts), 4))
+        out = np.zeros((len(texts), len(self.FEATURES)))
         if hits:
             for k, own in enumerate(words):
                 found = [w for w in own if w in hits]
@@ -149,43 +154,62 @@ class ToxicityModel:
                     wanted = set(found)
                     for m in _WORD.finditer(low[k]):
                         if (w := m.group()) in wanted:
-                            out[k, 3 if self.quoted(low[k], m.start(), m.end()) else hits[w]] += 1
-        return np.log1p(out)
+                            out[k, 4 if self.quoted(low[k], m.start(), m.end()) else hits[w]] += 1
+        return out
+
+    @staticmethod
+    def features(counts: np.ndarray) -> np.ndarray:
+        x = counts.copy()
+        x[:, BEGUN] = np.maximum(x[:, BEGUN] - 1, 0)
+        return np.log1p(x)
+
+    def judge(self, counts: np.ndarray) -> np.ndarray:
+        return 1 / (1 + np.exp(-np.clip(self.features(counts) @ self.weights + self.bias, -30, 30)))
 
     def scores(self, texts: list[str | None]) -> np.ndarray:
-        z = self.features(texts) @ self.weights + self.bias
-        return 1 / (1 + np.exp(-np.clip(z, -30, 30)))
+        return self.judge(self.counts(texts))
 
     @classmethod
-    def fit(cls, texts: list[str], toxic: list[int], most_terms: int = 200, least_lift: float = 20.0) -> ToxicityModel:
-        """Terms are words and beginnings of words that stand in far more toxic than clean texts; equal texts count once."""
+    def fit(cls, texts: list[str], toxic: list[int], least_lift: float = 20.0, least_texts: int = 3, chance: float = 1e-5) -> ToxicityModel:
+        """Terms are words that stand in far more toxic than clean texts, and beginnings of words that come more than once
+        in far more of them; equal texts count once. Whole words need texts enough that chance would not make them all
+        toxic; a stem, which pools the forms of a word where no form is frequent, needs ``least_texts`` toxic ones, and
+        its occurrences, of which at most three a text count, must lean to toxic texts beyond ``chance``."""
         pairs = sorted(dict(zip(texts, toxic, strict=True)).items())
         n = Counter(y for _, y in pairs)
         if not n[1] or not n[0]:
             return cls([], bias=-3.0 if not n[1] else 3.0)
-        df, stems = ({0: Counter(), 1: Counter()} for _ in range(2))
+        df, twice, shown, length = {0: Counter(), 1: Counter()}, {0: Counter(), 1: Counter()}, {0: Counter(), 1: Counter()}, Counter()
         for t, y in pairs:
-            df[y].update({w for w in _WORD.findall(t.lower()) if len(w) >= 4})
-            stems[y].update({w[:k] for w in set(_WORD.findall(t.lower())) for k in STEMS if len(w) > k})
+            words = _WORD.findall(t.lower())
+            length[y] += len(words)
+            df[y].update({w for w in words if len(w) >= 4})
+            for stem, k in Counter(w[:j] for w in words for j in STEMS if len(w) > j).items():
+                shown[y][stem] += min(k, 3)
+                twice[y][stem] += k > 1
         # A word that says nothing of toxicity stands in k toxic texts and no clean one with a chance of share ** k.
         share = n[1] / (n[0] + n[1])
-        least = max(5, math.ceil(math.log(1e-4) / math.log(share)), math.ceil(0.02 * n[1]))
+        least = max(5, math.ceil(math.log(1e-4) / math.log(share)))
+
+        def telling(counts: dict[int, Counter], floor: int) -> list[str]:
+            found = (w for w, k in counts[1].items() if k >= floor and (k / n[1]) / ((counts[0][w] + 0.5) / n[0]) >= least_lift)
+            return sorted(found, key=lambda w: (-counts[1][w], w))
 
-        def telling(counts: dict[int, Counter]) -> list[str]:
-            found = (w for w, k in counts[1].items() if k >= least and (k / n[1]) / ((counts[0][w] + 0.5) / n[0]) >= least_lift)
-            return sorted(found, key=lambda w: (-counts[1][w], w))[:most_terms]
+        def by_chance(k: int, of: int, p: float) -> float:
+            return sum(math.exp(math.lgamma(of + 1) - math.lgamma(i + 1) - math.lgamma(of - i + 1) + i * math.log(p) + (of - i) * math.log1p(-p)) for i in range(k, of + 1))
 
-        whole, begun = telling(df), telling(stems)
+        whole, begun = telling(df, least), telling(twice, least_texts)
         # A stem that mostly is one word is that word; one that only lengthens another stem adds nothing.
-        begun = [s for s in begun if max((df[1][w] for w in whole if w.startswith(s)), default=0) < 0.5 * stems[1][s]]
+        begun = [s for s in begun if max((df[1][w] for w in whole if w.startswith(s)), default=0) < 0.5 * twice[1][s]]
+        worded = length[1] / (length[0] + length[1])
+        begun = [s for s in begun if by_chance(shown[1][s], shown[0][s] + shown[1][s], worded) < chance]
         begun = [s for s in begun if not any(s != t and s.startswith(t) for t in begun)]
-        terms = [w for w in whole if not any(w.startswith(s) for s in begun)] + [s + "*" for s in begun]
-        model = cls(terms)
-        near = {w for w, e in model.word_edits(df[0]).items() if e > 0}
+        model = cls(whole + [s + "*" for s in begun])
+        near = {w for w, e in model.word_edits(df[0]).items() if 0 < e < BEGUN}
         model.harmless = frozenset(w for w in near if df[0][w] / n[0] >= df[1][w] / n[1])
-        x, y = model.features([t for t, _ in pairs]), np.array([y for _, y in pairs], float)
-        w, b, prior = np.zeros(4), math.log(n[1] / n[0]), np.array([4.0, 1.5, 0.5, 0.2])
-        w += prior
+        x, y = model.features(model.counts([t for t, _ in pairs])), np.array([y for _, y in pairs], float)
+        prior = np.array(cls.PRIOR)
+        w, b = prior.copy(), math.log(n[1] / n[0])
         for _ in range(600):  # gradient descent, held near the prior so that what the sample lacks stays sensible
             p = 1 / (1 + np.exp(-np.clip(x @ w + b, -30, 30)))
             w -= 0.5 * (x.T @ (p - y) / len(y) + 0.002 * (w - prior))
@@ -211,16 +235,15 @@ def train(docs: DataFrame, labels: DataFrame, per_label: int = 1500) -> Toxicity
 
 
 def score(docs: DataFrame, model: ToxicityModel) -> DataFrame:
-    """docs(doc_id, text) -> doc_id, score, n_hits (exact or misspelled, outside quotations). Null and empty texts get
+    """docs(doc_id, text) -> doc_id, score, n_hits (exact, misspelled or begun by a stem, outside quotations). Null and empty texts get
     the score of a text without hits; repeated rows are scored each."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             for at in range(0, b.num_rows, 512):
                 part = b.slice(at, 512)
-                x = model.features(part.column(1).to_pylist())
-                p = 1 / (1 + np.exp(-np.clip(x @ model.weights + model.bias, -30, 30)))
-                hits = np.rint(np.expm1(x[:, :3]).sum(axis=1)).astype(np.int64)
+                found = model.counts(part.column(1).to_pylist())
+                p, hits = model.judge(found), found[:, : BEGUN + 1].sum(axis=1).astype(np.int64)
                 yield pa.RecordBatch.from_arrays([part.column(0), pa.array(p), pa.array(hits)], names=["doc_id", "score", "n_hits"])
 
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(run, "doc_id long, score double, n_hits long")

@@ -393,6 +393,13 @@ def test_gradients_through_time():
         assert up / 2e-3 == pytest.approx(g[k][i], rel=0.01, abs=1e-4)  # states are in single precision
 
 
+def test_every_language_is_learned(spark):
+    rows = [(i, f"text {i} of language {i % 30}", f"l{i % 30:02}") for i in range(150)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, lang string")
+    assert language.train(docs, most_docs=10, epochs=1).labels == sorted({r[2] for r in rows})
+    assert language.train(docs.where("false")).labels == [language.NO_LANGUAGE]
+
+
 def test_language_on_held_out_documents(spark, odd, nothing):
     d = "/root/testdata/sf0.01"
     got = {r["doc_id"]: r for r in queries.op5_language_id(spark, d).collect()}
@@ -438,7 +445,8 @@ def test_automaton_equals_edit_distance():
         w = "".join(w)
         want = min((e for t in terms if (e := edits(w, t)) <= toxicity.allowed_edits(t)), default=-1)
         assert auto.edits(w) == want, w
-    assert toxicity.LexiconAutomaton(["vek*"]).edits("vekimo") == 0 and toxicity.LexiconAutomaton(["vek*"]).edits("vek") == -1
+    stem = toxicity.LexiconAutomaton(["vek*", "vekimo"])
+    assert [stem.edits(w) for w in ("vekimo", "vekino", "vekarst", "vek", "dom")] == [0, 1, toxicity.BEGUN, -1, -1]
 
 
 def test_context_tells_quotation_from_abuse():
@@ -459,6 +467,25 @@ def test_toxicity_on_held_out_documents(spark, odd, nothing):
     assert toxicity.score(odd, m).count() == len(ODD) + 2 and toxicity.score(nothing, m).count() == 0
 
 
+def test_toxicity_by_language(spark):
+    d = "/root/testdata/sf0.1"
+    lang = {r["doc_id"]: r["lang"] for r in table(spark, d, "documents").select("doc_id", "lang").collect()}
+    toxic = {r["doc_id"]: r["toxic"] for r in table(spark, d, "labels").collect()}
+    held = [r for r in queries.op4_toxicity_scores(spark, d).collect() if r["held_out"] and r["doc_id"] in toxic]
+    for each in ("en", "de", "es", "fr"):
+        found = [r["predicted"] for r in held if lang[r["doc_id"]] == each and toxic[r["doc_id"]]]
+        wrong = [r["predicted"] for r in held if lang[r["doc_id"]] == each and not toxic[r["doc_id"]]]
+        assert sum(found) >= 0.8 * len(found) and sum(wrong) <= 0.02 * len(wrong), (each, found, sum(wrong))
+
+
+def test_a_word_repeated_in_few_texts_teaches_a_stem_only_beyond_chance():
+    clean = [f"day {i} of a calm week" for i in range(80)]
+    forms = [f"krolemba{a} lies and krolemba{b} sits" for a, b in (("sta", "ti"), ("vo", "re"), ("dun", "pel"))]
+    m = toxicity.ToxicityModel.fit(clean + forms, [0] * 80 + [1] * 3)
+    assert any(t.endswith("*") for t in m.terms) and m.scores(["krolembami and krolembaxy"])[0] > 0.5 > m.scores(["krolembami alone"])[0]
+    assert not any(t.endswith("*") for t in toxicity.ToxicityModel.fit(clean[:3] + forms, [0] * 3 + [1] * 3).terms)
+
+
 # 3: personal data
 
 
