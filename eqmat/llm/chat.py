@@ -82,7 +82,7 @@ def stripped(raw: Column, role: Column, begins: Column) -> Column:
 
 def escaped(text: Column) -> Column:
     """A frame token inside a text gets a backslash (one more where it has some), so that it frames nothing."""
-    return F.regexp_replace(text, r"<(\\*)\|(im_start|im_end)\|>", r"<$1\\\\|$2|>")
+    return F.regexp_replace(text, r"<(\\*)\|(im_start|im_end)\|>", r"<$1\\|$2|>")
 
 
 def unescaped(text: Column) -> Column:
