@@ -395,3 +395,37 @@ def test_answers_become_rows_after_every_join(spark):
     heavy = spark.createDataFrame([("x", (1 << 14) * 3 + 5), ("y", 1)], "v_s string, weight long")
     many = A.Answering(r.mat.facts(), r.mat.rep_map, r.terms)._replicated(heavy)
     assert {x["v_s"]: x["count"] for x in many.groupBy("v_s").count().collect()} == {"x": (1 << 14) * 3 + 5, "y": 1}
+
+
+def test_what_only_has_to_exist_is_counted_not_listed(spark):
+    """40 suppliers of one part: 1,600 matches are counted, and 40 rows say which parts who supplies besides others."""
+    given = [(f"s{i}", "supplies", "part") for i in range(40)]
+    w = W.Workload("exist", constants(spark, given), parse_rules("?x alsoSuppliedBy ?t <- ?s supplies ?x, ?t supplies ?x")[0])
+    r = W.run(w, "rew")
+    assert r.mat.total("derivations") == 1600 and r.mat.facts().where("s <> o").count() == 80
+    from eqmat.operators.matcher import evaluate, plans_of
+
+    plan, facts = plans_of(spark, r.mat.rules)[0], r.mat.facts()
+    rows = evaluate(plan, [facts, facts])
+    assert rows.count() == 40 and rows.agg(F.sum("n")).first()[0] == 1600
+
+
+@pytest.mark.parametrize("text", ["?p = ?q <- ?p alias ?q", "?x marks ?y <- ?x near ?y"])
+def test_equivalences_are_edges_and_give_all_pairs(spark, text):
+    """Also where members, and the predicate itself, are merged with others later, where another rule reads the predicate,
+    and in batches."""
+    near = "?x near ?y <- ?x at ?p, ?y at ?p\n?y near ?x <- ?x near ?y\n?x near ?z <- ?x near ?y, ?y near ?z\n?x = ?y <- ?x same ?y\n?x near ?y <- ?x touches ?y\n"
+    given = [(f"s{i:02d}", "at", f"p{i % 3}") for i in range(30)] + [("s05", "same", "t1"), ("t1", "at", "p9"), ("s40", "touches", "s41"), ("s41", "touches", "s42"), ("near", "alias", "close"), ("a", "close", "b"), ("b", "close", "s40"), ("p0", "same", "p7"), ("lone", "at", "p7")]
+    rules = parse_rules(near + text)[0]
+    got = []
+    for by_key in (True, False):
+        r = W.run(W.Workload("near", constants(spark, given), rules), "rew", Options(by_key=by_key))
+        m = measures(r.mat)
+        got.append((sorted(map(tuple, r.mat.facts().collect())), rep_of(r.mat), m["triples_unmarked"]))
+        if by_key and "marks" not in text:
+            assert m["triples_unmarked"] == len(got[0][0]) > r.mat.store.total_live()
+    assert got[0] == got[1]
+    ids = W.lookup(r.terms, [c for x in rules for c in x.constants])
+    every = W.encode(constants(spark, given), r.terms)
+    live = materialise_rewriting(spark, every.where("s % 2 = 0"), [x.map(lambda c: ids[c]) for x in rules])
+    assert sorted(map(tuple, extend(live, every.where("s % 2 = 1")).facts().collect())) == got[0][0]
