@@ -158,6 +158,43 @@ def test_axioms_on_cliques(spark):
         materialise_axiomatised(spark, facts_df(spark, rows), [], expected=10, limit=5)
 
 
+@pytest.mark.parametrize("case", [1, 2, "equality has equals", "late heads have equals", "constants of late heads"])
+def test_axioms_by_classes_give_what_their_matches_give(spark, case, monkeypatch):
+    """The closure, the matches of every rule and all counts, without a join for each match of an axiom."""
+    from eqmat.operators import matcher
+
+    if isinstance(case, int):
+        facts, rules = _random_case(case)
+    else:
+        text = {
+            "equality has equals": "?x 30 ?y <- ?x 20 ?u, ?y 20 ?u, ?x 21 5, ?y 21 5",
+            "late heads have equals": "?x 30 12 <- ?x 20 ?u\n?x 31 ?y <- ?x 1 ?y, ?y 21 ?z",
+            "constants of late heads": "?x 30 40 <- ?x 20 ?u\n?x 32 ?y <- ?x 1 ?y, ?x 20 40\n?x 1 ?y <- ?x 22 ?u, ?y 22 ?u",
+        }[case]
+        facts = {(10, 20, 50), (11, 20, 50), (10, 21, 5), (11, 21, 5), (12, 20, 51), (10, 1, 12), (12, 1, 13), (14, 22, 60), (15, 22, 60), (14, 20, 40)}
+        facts |= {(24, 1, 1), (16, 24, 17), (16, 21, 5), (17, 20, 50)} if case == "equality has equals" else {(30, 1, 20)} if case.startswith("late") else set()
+        rules = [r.map(int) for r in parse_rules(text)[0]]
+    called, real = [], matcher.evaluate
+    monkeypatch.setattr(matcher, "evaluate", lambda plan, *more: (called.append(plan.label), real(plan, *more))[1])
+    got = {}
+    for by_key in (True, False):
+        mat = materialise_axiomatised(spark, facts_df(spark, facts), rules, Options(by_key=by_key), with_redundant=case == 2)
+        m = measures(mat)
+        got[by_key] = {tuple(r) for r in mat.facts().collect()}, dict(mat.by_rule), [m[k] for k in ("triples_before", "triples_total", "derivations", "rule_applications", "duplicate_derivations")]
+        assert any(x.startswith("re") for x in called) is not by_key
+    assert got[True][0] == closure(facts, [*rules, *equality_axioms(EQ_ID)]) and got[True] == got[False]
+
+
+def test_atoms_that_test_are_joined_first(spark):
+    from eqmat.operators.matcher import _with_tests, evaluate, plans_of
+
+    rule = parse_rules("?x 30 ?y <- ?x 20 ?u, ?y 20 ?u, ?x 21 5, ?y 21 5")[0][0].map(int)
+    assert _with_tests(rule.body, [0, 2, 1, 3]) == ([0, 2], [1, 3]) and _with_tests(rule.body, [1, 3]) == ([1, 3], [])
+    facts = {(x, 20, 50 + x % 2) for x in range(100, 112)} | {(100, 20, 51), (100, 21, 5), (101, 21, 5), (102, 21, 5)}
+    rows = evaluate(plans_of(spark, [rule])[0], [facts_df(spark, facts)] * 4).groupBy("s", "o").agg(F.sum("n").alias("n"))
+    assert {(r["s"], r["o"], r["n"]) for r in rows.collect()} == {(100, 100, 2), (100, 101, 1), (101, 100, 1), (101, 101, 1), (100, 102, 1), (102, 100, 1), (102, 102, 1)}
+
+
 def test_naive_is_the_definition(spark):
     facts, rules = {(10, 20, 11), (11, 20, 12), (12, 20, 13)}, parse_rules("?x 20 ?z <- ?x 20 ?y, ?y 20 ?z")[0]
     rules = [r.map(int) for r in rules]
