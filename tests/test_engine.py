@@ -66,6 +66,20 @@ def test_facts_only_depends_on_the_representative(spark):
         assert (missing.count(), extra.count()) == (want, 0)
 
 
+def test_disagreement_is_counted_in_both_directions(spark):
+    from eqmat.operators.measures import disagreement
+
+    ax = W.run_named(spark, "", "example", "ax").mat
+    for name, want in (("example", (0, 0)), ("example_usa", (0, 0))):
+        assert tuple(disagreement(W.run_named(spark, "", name).mat, W.run_named(spark, "", name, "ax").mat).first()) == want
+    weak = W.run_named(spark, "", "example", "facts_only").mat
+    assert tuple(disagreement(weak, ax).first()) == (2, 0)
+    # The other way round: rewriting has all that the closure of the facts without rules lacks.
+    rows, full = W.run_named(spark, "", "example").mat, W.run(W.Workload("bare", W.worked_example(spark).facts, [], W.worked_example(spark).order), "ax").mat
+    missing, extra = verify_expansion(rows, full)
+    assert tuple(disagreement(rows, full).first()) == (missing.count(), extra.count()) and extra.count() > 0
+
+
 def test_example_queries(example):
     q1, q2 = parse_query("SELECT ?x WHERE { ?x presidentOf ?y }"), parse_query("SELECT ?y WHERE { ?x presidentOf US . BIND(STR(?x) AS ?y) }")
     count = lambda df: Counter(r[0] for r in df.collect())
