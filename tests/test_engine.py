@@ -501,3 +501,31 @@ def test_examples_and_costs_are_read_from_given_tables(spark, name):
     assert len(rows) > 1 or name == "example_q2_posthoc"
     read = "".join(got.inputFiles())
     assert "/lineitem.parquet" in read if name.endswith("_table") else (spark.sparkContext.applicationId, SF, "equal_orders", "rew") in W._RUNS
+
+
+@pytest.mark.parametrize("case, mode, by_key", [("cliques", "ax", True), ("cliques", "rew", False), ("constants", "ax", True), ("constants", "rew", True), ("read", "rew", False), ("renamed", "rew", False)])
+def test_counted_pairs_count_as_listed_ones(spark, case, mode, by_key):
+    """Every count is that of the run that lists the pairs, whatever merges their ends, keys and constants; pairs that a
+    rule reads, or whose predicate gets equals, are listed."""
+    text = {
+        "cliques": "?x = ?y <- ?x t ?k, ?y t ?k\n?x near ?y <- ?x at ?u, ?y at ?u, ?x good yes, ?y good yes",
+        "constants": "?x = ?y <- ?x t ?k, ?y t ?k\nyes = aye <- ?x t ?k\nu0 = u1 <- ?x at u2\n?x near ?y <- ?x at ?u, ?y at ?u, ?x good yes, ?y good yes",
+        "read": "?x = ?y <- ?x t ?k, ?y t ?k\n?x near ?y <- ?x at ?u, ?y at ?u\n?x far ?z <- ?x near ?y, ?y good ?z",
+        "renamed": "?x = ?y <- ?x t ?k, ?y t ?k\n?x near ?y <- ?x at ?u, ?y at ?u\nnear = close <- ?x t ?k",
+    }[case]
+    rng = random.Random(7)
+    given = {(f"d{i}", p, f"{p[0]}{rng.randrange(n)}" if p != "at" else f"u{rng.randrange(n)}") for i in range(14) for p, n in (("t", 9), ("at", 4), ("at", 4))}
+    given |= {(f"d{i}", "good", rng.choice(["yes", "aye", "no"])) for i in range(0, 14, 2)}
+    w = W.Workload("pairs", constants(spark, sorted(given)), parse_rules(text)[0])
+    both = W.encoded(w)
+    got = []
+    for listed in (True, False):
+        mat = W.run_encoded(both, mode, Options(by_key=by_key, list_pairs=listed)).mat
+        own = measures(mat)
+        got.append(({k: v for k, v in own.items() if k not in ("bytes_facts", "wall_seconds", "rule_update_seconds")}, {k: n for k, n in mat.by_rule.items() if n}))
+        counted = not listed and case in ("cliques", "constants")
+        assert bool(mat.pairs) == counted
+        assert not counted or mat.pairs[0].live and not mat.store.live().where(F.col("p") == mat.pairs[0].q).count()
+    if case == "constants" and mode == "rew":  # a rewritten rule is named with its round
+        got = [(m, sum(n.values())) for m, n in got]
+    assert got[0] == got[1]
