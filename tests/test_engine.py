@@ -529,3 +529,34 @@ def test_counted_pairs_count_as_listed_ones(spark, case, mode, by_key):
     if case == "constants" and mode == "rew":  # a rewritten rule is named with its round
         got = [(m, sum(n.values())) for m, n in got]
     assert got[0] == got[1]
+
+
+def test_disagreement_of_counted_pairs_is_that_of_listed_ones(spark):
+    """Two runs on facts of which either lacks some: pairs are missing and pairs are beyond, as many as when all are listed,
+    whether both sides count their pairs, one of them, or none."""
+    from eqmat.operators.dictionary import encode
+    from eqmat.operators.measures import disagreement
+
+    rules = parse_rules("?x = ?y <- ?x t ?k, ?y t ?k\n?x near ?y <- ?x at ?u, ?y at ?u, ?x good yes, ?y good yes\n?x none ?y <- ?x by ?u, ?y by ?u")[0]
+    rng = random.Random(0)
+    given = sorted({(f"d{i}", p, f"{p[0]}{rng.randrange(n)}") for i in range(12) for p, n in (("t", 8), ("at", 4), ("at", 4))} | {(f"d{i}", "good", "yes") for i in range(0, 12, 2)})
+    _, terms, own = W.encoded(W.Workload("pairs", constants(spark, given), rules))
+    some = [encode(constants(spark, [f for i, f in enumerate(given) if i % 9 != k]), terms) for k in (2, 5)]
+    rew, ax = ({listed: W.run_encoded((facts, terms, own), mode, Options(measure=False, list_pairs=listed)).mat for listed in (True, False)} for facts, mode in zip(some, ("rew", "ax"), strict=True))
+    differ = [Counter(r["p"] for r in x.collect()) for x in verify_expansion(rew[True], ax[True])]
+    assert all(n[own[1].head.p] for n in differ)  # pairs differ both ways, not only other facts
+    assert [len(mat.pairs) for mat in (rew[True], ax[True], rew[False], ax[False])] == [0, 0, 2, 2]
+    for a, b in ((False, False), (True, False), (False, True)):
+        assert tuple(disagreement(rew[a], ax[b]).first()) == tuple(n.total() for n in differ)
+
+
+def test_expansion_is_compared_without_listing_pairs(spark):
+    """Pairs that no rule reads are in no layer of either run, and the closures agree."""
+    from eqmat.catalog import queries
+    from tests.conftest import SF
+
+    assert tuple(queries()["w1_expansion_equals_ax"](spark, SF).first()) == (0, 0)
+    runs = [r.mat for k, r in W._RUNS.items() if k[1:4] in ((SF, "w1", "rew"), (SF, "w1", "ax")) and len(k) > 4]
+    assert len(runs) == 2
+    for mat in runs:
+        assert [p.live > 0 for p in mat.pairs] == [True] and mat.store.live().where(F.col("p") == mat.pairs[0].q).isEmpty()
